@@ -18,6 +18,8 @@ _written: dict[str, SparkSession] = {}
 def shared_dir(spark: SparkSession) -> str:
     """URI of the folder that all executors and the driver can read and write."""
     base = spark.conf.get("spark.checkpoint.dir", None)
+    if base and "://" not in base and not base.startswith("file:"):
+        base = f"file://{base}" if spark.sparkContext.master.startswith("local[") else base
     if not base:
         holder = spark.sparkContext._jsc.sc().getCheckpointDir()
         if holder.isDefined():
@@ -57,8 +59,8 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def discard(df: DataFrame) -> None:
     """Deletes the files below a ``staged`` table that nothing reads any more."""
-    roots = {f.rpartition("/")[0] for f in df.inputFiles()}
-    for path in [p for p in _written if any(p.partition(":")[2].lstrip("/") in r for r in roots)]:
+    roots = {f.rpartition("/")[0].rpartition("/")[2] for f in df.inputFiles()}
+    for path in [p for p in _written if p.rpartition("/")[2] in roots]:
         drop_path(df.sparkSession, path)
 
 
