@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("exact_dedup", "warc_bundles", "source_mixing", "simhash_links", "packing", "sharding", "vector_search")
+_MODULES = ("exact_dedup", "warc_bundles", "source_mixing", "simhash_links", "pair_quality", "language_id", "packing", "sharding", "toxicity", "vector_search")
 
 
 def _all(name: str) -> dict:
