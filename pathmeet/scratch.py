@@ -69,3 +69,15 @@ def _clean() -> None:
     for path, spark in list(_written.items()):
         with contextlib.suppress(Exception):
             drop_path(spark, path)
+
+
+def bucketed(df: DataFrame, name: str, key: str, buckets: int | None = None) -> DataFrame:
+    """Writes ``df`` once as a table bucketed and sorted by ``key``, and returns a scan of it.
+
+    Joins on the key read it in place while the other side is shuffled to its buckets."""
+    spark = df.sparkSession
+    path = new_path(spark, name)
+    table = path.rpartition("/")[2].replace("-", "_")
+    buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    df.write.format("parquet").option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+    return spark.table(table)
