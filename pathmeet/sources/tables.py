@@ -35,7 +35,7 @@ RULES: dict[str, str] = {
 SPLIT_RULES: dict[str, tuple[str, str]] = {
     # the next event is sought inside its hour; the last of an hour meets the first of the next hour with events
     "g_user_flow": (
-        """WITH e AS (SELECT user_id, ts, event_id, unix_micros(ts) div 3600000000 AS h FROM {events}),
+        """WITH e AS (SELECT user_id, ts, event_id, unix_micros(CAST(ts AS TIMESTAMP)) div 3600000000 AS h FROM {events}),
         inner_pairs AS (SELECT user_id, lead(user_id) OVER (PARTITION BY h ORDER BY ts, event_id) AS next_user FROM e),
         ends AS (SELECT h, min_by(user_id, struct(ts, event_id)) AS first_user, max_by(user_id, struct(ts, event_id)) AS last_user FROM e GROUP BY h),
         seams AS (SELECT last_user AS user_id, lead(first_user) OVER (ORDER BY h) AS next_user FROM ends)
@@ -57,7 +57,7 @@ SPLIT_RULES: dict[str, tuple[str, str]] = {
         FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages)""",
     ),
     "g_user_type_window": (
-        """SELECT user_id * 16 + 6 AS src, CAST(conv(substring(md5(concat(event_type, ':', CAST(unix_micros(ts) div 3600000000 AS STRING))), 1, 12), 16, 10) AS BIGINT) * 16 + 7 AS dst FROM {events}""",
+        """SELECT user_id * 16 + 6 AS src, CAST(conv(substring(md5(concat(event_type, ':', CAST(unix_micros(CAST(ts AS TIMESTAMP)) div 3600000000 AS STRING))), 1, 12), 16, 10) AS BIGINT) * 16 + 7 AS dst FROM {events}""",
         """SELECT user_id * 16 + 6 AS src, ('0x' || substr(md5(event_type || ':' || (epoch_us(ts) // 3600000000)::VARCHAR), 1, 12))::BIGINT * 16 + 7 AS dst FROM events""",
     ),
     "g_doc_source": (
