@@ -104,7 +104,7 @@ def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     rows = keyed.where("_size = 0 or _taken > 0").withColumn("_copy", F.explode(F.sequence(F.lit(0).cast("long"), copies - 1)))
     words = F.col("_taken") - F.col("_copy") * F.col("_size")
     whole = (F.col("_size") == 0) | (words >= F.col("_size"))
-    text = F.when(whole, F.col(text_col)).otherwise(leading_words(F.when(~whole, F.col(text_col)), words))
+    text = F.when(whole, F.col(text_col)).otherwise(leading_words(F.col(text_col), words))
     return rows.withColumn(text_col, text).select(*docs.columns)
 
 
