@@ -92,33 +92,37 @@ def address_parts(url: Column) -> dict[str, Column]:
     return {"host": host, "domain": F.substring_index(host, ".", -2), "suffix": F.substring_index(host, ".", -1)}
 
 
-def fit_text(rows: DataFrame, most_rows: int, most_chars: int) -> TextModel:
-    """Fits on at most ``most_rows`` rows of each of the (at most 64) declared languages, by a hash of their id."""
-    slim = rows.where(F.col("declared").isNotNull() & (F.length("text") <= most_chars) & (F.length("text") > 0))
-    langs = [r.declared for r in slim.groupBy("declared").count().orderBy(F.desc("count"), "declared").limit(64).collect()]
+def fit_text(table: DataFrame, id: Column, text: Column, declared: Column, size: Column, most_rows: int, most_chars: int) -> TextModel:
+    """Fits on at most ``most_rows`` rows of each of the (at most 64) declared languages, by a hash of their id.
+
+    The sample is drawn from ids, declared languages and sizes; texts are read for sampled ids only."""
+    slim = staged(table.where(declared.isNotNull() & size.between(1, most_chars)).select(id.alias("_id"), F.lower(declared).alias("_declared")), "lang-declared")
+    langs = [r["_declared"] for r in slim.groupBy("_declared").count().orderBy(F.desc("count"), "_declared").limit(64).collect()]
     if not langs:
         return TextModel([])
     picked = None
     for lang in langs:
-        some = slim.where(F.col("declared") == lang).select("id").orderBy(F.xxhash64("id"), "id").limit(most_rows)
+        some = slim.where(F.col("_declared") == lang).select("_id").orderBy(F.xxhash64("_id"), "_id").limit(most_rows)
         picked = some if picked is None else picked.unionByName(some)
-    held = slim.join(F.broadcast(picked.distinct()), "id").select("declared", "text").collect()
-    return TextModel(sorted((r.text, r.declared) for r in held if r.declared in langs))
+    sampled = table.where(size.between(1, most_chars)).join(F.broadcast(picked.distinct()), id == F.col("_id"), "left_semi")
+    held = sampled.select(F.lower(declared).alias("declared"), text.alias("text")).collect()
+    return TextModel(sorted((r.text, r.declared) for r in held if r.declared in langs and r.text))
 
 
 def identify(
-    spark: SparkSession, table: DataFrame, id: Column, text: Column, declared: Column, host: Column, domain: Column | None = None, suffix: Column | None = None,
+    spark: SparkSession, table: DataFrame, id: Column, text: Column, declared: Column, host: Column, domain: Column | None = None, suffix: Column | None = None, size: Column | None = None,
     least: float = 0.5, sample_rows: int = 500, sample_chars: int = 20_000,
 ) -> DataFrame:
     """One row per input row: id, rid, lang (null: rejected), posterior, text_lang, declared, host.
 
-    ``rid`` tells repeated ids apart."""
+    ``rid`` tells repeated ids apart. ``size`` is what ``sample_chars`` bounds: the length of the
+    raw page where the text has to be extracted first."""
     none = F.lit(None).cast("string")
     rows = table.select(
         id.alias("id"), F.coalesce(text, F.lit("")).alias("text"), F.lower(declared).alias("declared"), host.alias("host"),
         (none if domain is None else domain).alias("domain"), (none if suffix is None else suffix).alias("suffix"), F.monotonically_increasing_id().alias("rid"),
     )
-    model = fit_text(rows, sample_rows, sample_chars)
+    model = fit_text(table, id, F.coalesce(text, F.lit("")), declared, F.length(text) if size is None else size, sample_rows, sample_chars)
     langs, k = model.langs, len(model.langs)
     if not k:
         return rows.select("id", "rid", none.alias("lang"), F.lit(0.0).alias("posterior"), none.alias("text_lang"), "declared", "host")
@@ -177,7 +181,7 @@ def _softmax(logs: list[Column]) -> list[Column]:
 def pages_languages(spark: SparkSession, pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", **options) -> DataFrame:
     """Languages of web pages from visible text, html language, address suffix and host."""
     parts = address_parts(F.col(url_col))
-    return identify(spark, pages, F.col(id_col), visible_text(F.col(html_col)), declared_in(F.col(html_col)), **parts, **options)
+    return identify(spark, pages, F.col(id_col), visible_text(F.col(html_col)), declared_in(F.col(html_col)), size=F.length(html_col), **parts, **options)
 
 
 def documents_languages(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", declared_col: str = "lang", source_col: str = "source", **options) -> DataFrame:
