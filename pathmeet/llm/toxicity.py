@@ -29,6 +29,8 @@ from pathmeet.llm.labelled import fit_logistic, held_out, logit, sigmoid, traini
 WINDOW_WORDS, MARK = 6, b"~"
 #: Most words of the ordinary dictionary, and the sizes tried for the toxic words.
 ORDINARY_WORDS, TOXIC_SIZES = 1200, (8, 16, 32)
+#: Ridges tried in the calibration.
+RIDGES = (0.01, 0.1, 1.0, 10.0)
 #: Bytes that separate words here: everything in ASCII but letters.
 APART = bytes(b for b in range(128) if not (0x41 <= b <= 0x5A or 0x61 <= b <= 0x7A))
 TO_SPACE = bytes.maketrans(APART, b" " * len(APART))
@@ -104,20 +106,27 @@ class CompressionDistance:
         return [min(20, d.max()), *(float(np.log1p((d >= k).sum())) for k in (2, 4, 6)), float(np.log(len(d))), float(np.clip(d, -3, 8).mean())]
 
     def fit(self, texts: list[tuple[list[bytes], int]], threshold: float) -> float:
-        """Calibrates on the texts; returns the log-loss of two-fold cross-validation."""
+        """Calibrates on the texts; returns the log-loss of two-fold cross-validation.
+
+        The ridge is the one of least cross-validated loss, and the cut the one of best F1
+        among the scores that the folds give to each other's rows, so small samples are not
+        judged by rows that they were fitted on."""
         x, y = np.array([self.features(w) for w, _ in texts]), np.array([y for _, y in texts])
         self.mean, self.scale = x.mean(0), x.std(0) + 1e-9
         x = np.c_[(x - self.mean) / self.scale, np.ones(len(x))]
         part = np.array([zlib.crc32(b" ".join(w)) % 2 for w, _ in texts])
-        loss = 0.0
-        for k in (0, 1):
-            p = np.clip(sigmoid(x[part == k] @ fit_logistic(x[part != k], y[part != k])), 1e-6, 1 - 1e-6)
-            loss -= float((y[part == k] * np.log(p) + (1 - y[part == k]) * np.log(1 - p)).sum())
-        self.weights = fit_logistic(x, y)
-        p = sigmoid(x @ self.weights)
+        tried = []
+        for ridge in RIDGES:
+            p = np.zeros(len(y))
+            for k in (0, 1):
+                p[part == k] = sigmoid(x[part == k] @ fit_logistic(x[part != k], y[part != k], ridge))
+            p = np.clip(p, 1e-6, 1 - 1e-6)
+            tried.append((-float((y * np.log(p) + (1 - y) * np.log(1 - p)).sum()), ridge, p))
+        loss, ridge, p = min(tried, key=lambda t: t[:2])
+        self.weights = fit_logistic(x, y, ridge)
         cuts = np.unique(np.quantile(p, np.linspace(0.02, 0.995, 196)))
         f1 = [2 * (y[p >= c].sum()) / max(1, (p >= c).sum() + y.sum()) for c in cuts]
-        self.shift = logit(threshold) - logit(float(np.clip(cuts[int(np.argmax(f1))], 1e-6, 1 - 1e-6)))
+        self.shift = logit(threshold) - logit(float(cuts[int(np.argmax(f1))]))
         return loss
 
     def score(self, texts: list[str | None]) -> np.ndarray:
