@@ -43,9 +43,10 @@ def quantised(vectors: DataFrame, id_col: str, vector_col: str, scale: int) -> D
 
 def statistics(v: np.ndarray, segments: int) -> np.ndarray:
     """Means and deviations of the segments, weighted so that a dot product is the bound."""
+    if not v.shape[1]:
+        return np.zeros((len(v), 1))
     parts = np.array_split(np.arange(v.shape[1]), min(segments, v.shape[1]))
-    columns = [np.sqrt(len(p)) * f(v[:, p], axis=1) for p in parts for f in (np.mean, np.std)]
-    return np.stack(columns, axis=1) if columns else np.zeros((len(v), 1))
+    return np.stack([np.sqrt(len(p)) * f(v[:, p], axis=1) for p in parts for f in (np.mean, np.std)], axis=1)
 
 
 def best(query: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int) -> np.ndarray:
@@ -163,10 +164,10 @@ def _against_all(held: DataFrame, ids: np.ndarray, q: np.ndarray, k: int, floor:
                 lengths = np.diff(lists.offsets.to_numpy())
                 own = some.column(0).to_numpy(zero_copy_only=False)
                 if (lengths == width).all():
-                    running.add(own, values.reshape(-1, width))
+                    running.add(own, values.reshape(len(own), width))
                 else:
                     right = lengths == width
-                    running.add(own[right], values[np.repeat(right, lengths)].reshape(-1, width))
+                    running.add(own[right], values[np.repeat(right, lengths)].reshape(int(right.sum()), width))
         running.reduce()
         query, vec, score = running.found
         yield pa.RecordBatch.from_arrays([pa.array(ids[query]), pa.array(vec), pa.array(score)], names=["query_id", "vec_id", "score"])
