@@ -364,7 +364,7 @@ def _some_pairs(spark, sf_dir, name: str = MAIN) -> DataFrame:
     return g.memo["some"]
 
 
-_SEARCH = oracle(MAIN, "exact", "pairs").add("some", _EVERY).query("SELECT qid, some.s, t, d AS dist FROM some LEFT JOIN exact e ON e.s = some.s AND e.v = t")
+_SEARCH = oracle(MAIN, "exact", "pairs").add("picked", _EVERY).query("SELECT qid, picked.s, t, d AS dist FROM picked LEFT JOIN exact e ON e.s = picked.s AND e.v = t")
 
 
 @entry(_SEARCH)
@@ -390,9 +390,9 @@ def single_source(spark, sf_dir):
     return w.truth_of(spark, sf_dir, MAIN)
 
 
-_LAND = oracle(MAIN, "exact", "pairs").add("some", _EVERY).add("marks", "SELECT id FROM anchors ORDER BY id LIMIT 20").add(
+_LAND = oracle(MAIN, "exact", "pairs").add("picked", _EVERY).add("marks", "SELECT id FROM anchors ORDER BY id LIMIT 20").add(
     "far", "SELECT id AS a, id AS v, 0 AS d FROM marks UNION SELECT a, dst, d + 1 FROM far JOIN arcs ON src = v WHERE d < 16").add("tab", "SELECT a, v, min(d) AS d FROM far GROUP BY 1, 2").add(
-    "est", "SELECT qid, s, t, min(x.d + y.d) AS dist FROM some JOIN tab x ON x.v = s JOIN tab y ON y.v = t AND y.a = x.a GROUP BY 1, 2, 3")
+    "est", "SELECT qid, s, t, min(x.d + y.d) AS dist FROM picked JOIN tab x ON x.v = s JOIN tab y ON y.v = t AND y.a = x.a GROUP BY 1, 2, 3")
 
 
 def _estimates(spark, sf_dir):
