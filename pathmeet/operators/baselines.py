@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from pathmeet.operators.frontier import levels, relaxed
 from pathmeet.operators.graph import Graph
-from pathmeet.scratch import staged
+from pathmeet.scratch import bucketed, staged
 
 
 def single_source(g: Graph, sources: DataFrame) -> DataFrame:
@@ -117,6 +117,52 @@ def bidirectional_weighted(g: Graph, queries: DataFrame) -> DataFrame:
     return queries.join(met, "qid", "left").select("qid", "s", "t", F.col("best").alias("dist"))
 
 
+def astar(g: Graph, queries: DataFrame, tables: DataFrame, landmarks: int = 16, slack: int | None = 0) -> DataFrame:
+    """(qid, s, t, dist, scanned): goal-directed search with triangle bounds from anchor tables as potentials.
+
+    ``tables`` (a, v, d) of the ``landmarks`` least anchors serve. A round opens, for every query
+    at once, the labels whose length plus bound is within ``slack`` of the query's least (None: all
+    that can still improve the answer, in fewer rounds and with more arcs read). A label is dropped
+    once its bound reaches the best path known, the first of which leads through a landmark."""
+    chosen = F.broadcast(tables.select("a").distinct().orderBy("a").limit(landmarks))
+    spots = tables.join(chosen, "a", "left_semi").groupBy("v").agg(F.transform(F.sort_array(F.collect_list(F.struct("a", "d"))), lambda x: x["d"]).alias("spots"))
+    spots = bucketed(spots, "spots", "v")
+    kind = g.arcs.schema["w"].dataType
+    comps = g.components
+    known = queries.select("qid", "s", "t").join(comps.select(F.col("id").alias("s"), F.col("comp").alias("cs")), "s").join(comps.select(F.col("id").alias("t"), F.col("comp").alias("ct")), "t").where("cs = ct")
+    known = known.join(spots.select(F.col("v").alias("s"), F.col("spots").alias("near")), "s", "left").join(spots.select(F.col("v").alias("t"), F.col("spots").alias("goal")), "t", "left")
+    detour = F.array_min(F.zip_with("near", "goal", lambda x, y: x + y)).cast(kind)
+    goals = staged(known.select("qid", "s", "t", "goal", F.when(F.col("s") == F.col("t"), F.lit(0).cast(kind)).otherwise(detour).alias("best")), "astar-goals")
+    targets = goals.select("qid", F.col("t").alias("v"))
+
+    def valued(rows: DataFrame) -> DataFrame:
+        ahead = F.coalesce(F.array_max(F.zip_with("spots", "goal", lambda x, y: F.abs(x - y))), F.lit(0)).cast(kind)
+        return rows.join(spots, "v", "left").join(goals.select("qid", "goal"), "qid").select("qid", "v", "d", (F.col("d") + ahead).alias("f"))
+
+    labels = staged(goals.select("qid", F.col("s").alias("v"), F.lit(0).cast(kind).alias("d")), "astar-labels")
+    waiting, best, read = valued(labels), goals.select("qid", "best"), []
+    while True:
+        alive = waiting.join(best, "qid").where("best is null or f < best").drop("best")
+        now = F.lit(True) if slack is None else F.col("f") <= F.col("least") + slack
+        held = staged(alive.join(alive.groupBy("qid").agg(F.min("f").alias("least")), "qid").select("qid", "v", "d", "f", now.alias("now")), "astar-held")
+        if held.isEmpty():
+            break
+        turn = held.where("now")
+        read.append(turn.select("qid", "v"))
+        reached = turn.join(g.arcs.select(F.col("src").alias("v"), "dst", "w"), "v").groupBy("qid", F.col("dst").alias("v")).agg(F.min(F.col("d") + F.col("w")).alias("d"))
+        lower = reached.join(labels.select("qid", "v", F.col("d").alias("old")), ["qid", "v"], "left").where("old is null or d < old").drop("old")
+        better = staged(valued(lower), "astar-better")
+        labels = staged(labels.unionByName(better.select("qid", "v", "d")).groupBy("qid", "v").agg(F.min("d").alias("d")), "astar-labels")
+        hits = better.join(targets, ["qid", "v"], "left_semi").select("qid", F.col("d").alias("best"))
+        best = staged(best.unionByName(hits).groupBy("qid").agg(F.min("best").alias("best")), "astar-best")
+        waiting = held.where("not now").drop("now").join(better.select("qid", "v"), ["qid", "v"], "left_anti").unionByName(better)
+    opened = read[0] if read else targets.limit(0)
+    for more in read[1:]:
+        opened = opened.unionByName(more)
+    work = opened.join(g.nodes.select(F.col("id").alias("v"), "deg"), "v").groupBy("qid").agg(F.sum("deg").alias("scanned"))
+    return queries.join(best, "qid", "left").join(work, "qid", "left").select("qid", "s", "t", F.col("best").alias("dist"), F.coalesce("scanned", F.lit(0)).alias("scanned"))
+
+
 def landmark_estimate(tables: DataFrame, queries: DataFrame, k: int | None = None) -> DataFrame:
     """(qid, s, t, dist): the least detour d(s, a) + d(a, t) over the ``k`` least anchors (all by default)."""
     used = tables if k is None else tables.join(F.broadcast(tables.select("a").distinct().orderBy("a").limit(k)), "a", "left_semi")

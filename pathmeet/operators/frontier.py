@@ -55,14 +55,15 @@ def levels(
     return out
 
 
-def relaxed(arcs: DataFrame, start: DataFrame, keys: tuple[str, ...], tie: str, may_expand: Column | None = None) -> DataFrame:
+def relaxed(arcs: DataFrame, start: DataFrame, keys: tuple[str, ...], tie: str, may_expand: Column | None = None, opened: DataFrame | None = None) -> DataFrame:
     """Label-correcting search for weighted arcs: (keys, v, d, tie, carried ``r``) at the fixpoint.
 
     ``start`` has (keys, v, d, tie, r). Only labels that got smaller are expanded in the next
-    round; a label is the least (d, tie) seen."""
+    round; a label is the least (d, tie) seen. ``opened`` (v) restricts the first round, where the
+    other labels are known to be settled."""
     on = [*keys, "v"]
     state = staged(start.select(*on, "d", tie, "r"), "labels")
-    moved = state
+    moved = state if opened is None else state.join(opened, "v", "left_semi")
     for _ in range(MOST_ROUNDS):
         open_rows = moved if may_expand is None else moved.where(may_expand)
         reached = open_rows.join(arcs.select(F.col("src").alias("v"), "dst", "w"), "v")

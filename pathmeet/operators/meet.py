@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from pathmeet.joins import bounded_join
 from pathmeet.operators.index import Index
 from pathmeet.scratch import staged
 
@@ -122,9 +123,9 @@ def pairs_distance(index: Index, sample: DataFrame, probe: str | None = None) ->
     A sparse minimum-plus product on the shared member, combined before the shuffle; hot
     members are left to the skew handling of the join."""
     probe = probe or "boundary"
-    chosen = sample.select(F.col("id").alias("u"))
-    rows = probed_rows(index, probe).join(F.broadcast(chosen), "u", "left_semi")
-    vic = index.vicinity.join(F.broadcast(chosen), "u", "left_semi")
+    chosen = staged(sample.select(F.col("id").alias("u")), "pair-sample")
+    rows = bounded_join(probed_rows(index, probe), chosen, "u", "left_semi")
+    vic = bounded_join(index.vicinity, chosen, "u", "left_semi")
     one = rows.select(F.col("u").alias("s"), "v", F.col("d").alias("d1"))
     two = vic.select(F.col("u").alias("t"), "v", F.col("d").alias("d2"))
     return one.join(two, "v").where("s < t").groupBy("s", "t").agg(F.min(F.col("d1") + F.col("d2")).alias("dist"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathmeet.joins import bounded_join
 from pathmeet.operators.frontier import levels, relaxed
 from pathmeet.operators.graph import Graph
 from pathmeet.scratch import bucketed, staged
@@ -25,7 +26,7 @@ def vicinities(g: Graph, radii: DataFrame, sources: DataFrame | None = None, eng
     are exact, those on the rim are upper bounds unless ``exact_rim``."""
     start = radii.select("u", F.col("u").alias("v"), "r")
     if sources is not None:
-        start = start.join(F.broadcast(sources.select(F.col("id").alias("u")).distinct()), "u", "left_semi")
+        start = bounded_join(start, staged(sources.select(F.col("id").alias("u")).distinct(), "sources"), "u", "left_semi")
     if g.weighted:
         return _weighted(g, start, exact_rim)
     if engine == "kernel":

@@ -23,6 +23,12 @@ RULES: dict[str, str] = {
         UNION ALL SELECT c_custkey * 16, CAST(c_nationkey AS BIGINT) * 16 + 4 FROM {customer}
         UNION ALL SELECT s_suppkey * 16 + 1, CAST(s_nationkey AS BIGINT) * 16 + 4 FROM {supplier}
         UNION ALL SELECT CAST(n_nationkey AS BIGINT) * 16 + 4, CAST(n_regionkey AS BIGINT) * 16 + 5 FROM {nation}""",
+    # directed: each customer who bought a part passes it on to the next one
+    "g_handed_on": """
+        SELECT src, dst FROM (
+          SELECT o_custkey * 16 AS src, lead(o_custkey * 16) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, o_orderkey) AS dst
+          FROM {lineitem} JOIN {orders} ON l_orderkey = o_orderkey WHERE l_returnflag = 'R' AND l_linenumber = 1) AS h
+        WHERE dst IS NOT NULL""",
     "g_turn_chain": """
         SELECT (a.conv_id * 1024 + a.turn) * 16 + 12 AS src, (b.conv_id * 1024 + b.turn) * 16 + 12 AS dst
         FROM {conversations} a JOIN {conversations} b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1""",
