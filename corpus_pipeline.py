@@ -1,4 +1,4 @@
-"""From raw documents to packed training sequences, in five stages.
+"""From raw documents to packed training sequences, in six stages.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before it kept.
 All but the last return the columns of ``documents``; the last returns the pieces of the
@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pathmeet.llm.exact_dedup import keep_first
 from pathmeet.llm.language_id import keep_identified
 from pathmeet.llm.packing import default_vocabulary, packed_pieces
+from pathmeet.llm.shingle_links import keep_dissimilar
 from pathmeet.llm.simhash_links import keep_one
 from pathmeet.llm.source_mixing import mixed_documents
 from pathmeet.scratch import staged
@@ -31,6 +32,11 @@ def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
     return keep_one(spark, docs)
 
 
+def shingle_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps one document of each component of five-word shingle sets with similarity 0.8 or more."""
+    return keep_dissimilar(spark, docs)
+
+
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeats, shortens or drops documents so that sources come near their target weights."""
     return mixed_documents(spark, docs)
@@ -45,6 +51,7 @@ STAGES = [
     ("language_id", language_id),
     ("exact_dedup", exact_dedup),
     ("simhash_near_dedup", simhash_near_dedup),
+    ("shingle_near_dedup", shingle_near_dedup),
     ("source_mixing", source_mixing),
     ("packing", packing),
 ]

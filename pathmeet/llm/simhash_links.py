@@ -198,9 +198,14 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
 
 def keep_one(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The document with the smallest id of each component, with all its columns; once if its row is repeated."""
+    return least_of_components(docs, near_duplicates(spark, docs, id_col, **options), id_col)
+
+
+def least_of_components(docs: DataFrame, components: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """The rows of ``docs`` that stay by ``components``, (id, component_id) of every row."""
     from pathmeet.llm.exact_dedup import without
 
-    found = staged(near_duplicates(spark, docs, id_col, **options).select(id_col, "component_id"), "simhash-found")
+    found = staged(components.select(id_col, "component_id"), "simhash-found")
     gone = staged(found.where(~F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_col).distinct(), "simhash-gone")
     left = without(docs, gone, id_col)
     many = staged(found.groupBy(id_col).agg(F.count("*").alias("n")).where("n > 1").select(id_col), "simhash-many")
