@@ -486,9 +486,20 @@ def bidirectional_weighted(spark, sf_dir):
    UNION ALL SELECT 'anchor_tables', count(*) * (SELECT n FROM nm) FROM anchors UNION ALL SELECT 'all_pairs_squared', n * n FROM nm
    UNION ALL SELECT 'all_pairs_halved', n * (n - 1) // 2 FROM nm UNION ALL SELECT 'four_root_n', floor(4 * n * sqrt(n::DOUBLE))::BIGINT FROM nm)"""))
 def memory_profile(spark, sf_dir):
+    """Vicinities and boundaries of the sample nodes alone, though against all nodes, as its oracle has it."""
     return measures.memory_profile(w.index_of(spark, sf_dir, MAIN))
 
 
+@entry(oracle(MAIN, "radius").add("sample", "SELECT id FROM nodes").need("boundary").query("""
+ SELECT part, entries::BIGINT AS entries, round(entries / n, 6) AS per_node, round(entries / (n * n)::DOUBLE, 9) AS of_all_pairs FROM nm, (
+   SELECT 'vicinities' AS part, count(*) AS entries FROM vicinity UNION ALL SELECT 'boundaries', count(*) FROM boundary
+   UNION ALL SELECT 'anchor_tables', count(*) * (SELECT n FROM nm) FROM anchors UNION ALL SELECT 'all_pairs_squared', n * n FROM nm
+   UNION ALL SELECT 'all_pairs_halved', n * (n - 1) // 2 FROM nm UNION ALL SELECT 'four_root_n', floor(4 * n * sqrt(n::DOUBLE))::BIGINT FROM nm)"""))
+def memory_profile_all_nodes(spark, sf_dir):
+    """The memory of the whole index: vicinities and boundaries of every node."""
+    return measures.memory_profile(w.index_of(spark, sf_dir, MAIN, sampled=False))
+
+
 @entry(oracle(MAIN, "cases", "boundary").add("sizes", "SELECT u, count(*) AS size FROM boundary GROUP BY u").query(
     "SELECT round(avg(size) / any_value(n), 9) AS mean_share, round(max(size) / any_value(n), 9) AS worst_share FROM nm, cases JOIN sizes ON u = s WHERE case_ IN ('meet', 'unanswered')"))
 def explored_fraction(spark, sf_dir):
