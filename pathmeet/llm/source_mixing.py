@@ -31,6 +31,10 @@ from pathmeet.scratch import staged
 #: Rows that a bucket of the running sums is meant to hold, and the most bits of a bucket number.
 BUCKET_ROWS, BUCKET_BITS = 256, 16
 
+#: Numbers of the copies of a planned document, and the virtual time at which one finishes.
+COPIES = "sequence(0L, if(_size = 0, 1, (_taken + _size - 1) div _size) - 1)"
+FINISH = "cast((_copy * _place.source_size + _place.start + least(_size, _taken - _copy * _size)) as double) / _place.weight"
+
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, share: float = 1.0) -> DataFrame:
     """(source, source_size) to (source, sid, weight, source_size, target).
@@ -93,19 +97,29 @@ def sequence(allotted: DataFrame) -> DataFrame:
 def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
     """The documents of the mix with the columns of ``docs``, a row per copy; the one at a cut is shortened.
 
-    Documents without words weigh nothing and stay once. Rows that repeat an id share the
-    allotment of their rows."""
+    Copies are range-sorted by virtual finish time: partitions follow each other, and rows
+    inside them are in order. Documents without words weigh nothing and stay once, at their
+    place in the source. Rows that repeat an id share the allotment of their rows."""
     share = allotments(spark, docs, id_col, text_col, source_col, **options)
     plan = share.groupBy(F.coalesce(F.col(id_col).cast("string"), F.lit("null")).alias("_id")).agg(
-        F.expr("max(size)").alias("_size"), F.expr("cast(ceil(sum(taken) / count(*)) as bigint)").alias("_taken")
-    )
+        F.expr("max(size)").alias("_size"), F.expr("cast(ceil(sum(taken) / count(*)) as bigint)").alias("_taken"),
+        F.min_by(F.struct("start", "source_size", "weight"), "start").alias("_place"),
+    )
+    plan = staged(plan.where("_size = 0 or _taken > 0"), "mix-plan")
     keyed = docs.withColumn("_id", F.coalesce(F.col(id_col).cast("string"), F.lit("null"))).join(plan, "_id")
-    copies = F.expr("if(_size = 0, 1, (_taken + _size - 1) div _size)")
-    rows = keyed.where("_size = 0 or _taken > 0").withColumn("_copy", F.explode(F.sequence(F.lit(0).cast("long"), copies - 1)))
+    rows = keyed.withColumn("_copy", F.explode(F.expr(COPIES)))
     words = F.col("_taken") - F.col("_copy") * F.col("_size")
     whole = (F.col("_size") == 0) | (words >= F.col("_size"))
     text = F.when(whole, F.col(text_col)).otherwise(leading_words(F.col(text_col), words))
-    return rows.withColumn(text_col, text).select(*docs.columns)
+    rows = rows.withColumn("_finish", F.expr(FINISH))
+    # ranges are drawn on the slim plan, since repartitionByRange would join all texts once more to sample them
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    times = plan.select("*", F.explode(F.expr(COPIES)).alias("_copy")).select(F.expr(FINISH).alias("t"))
+    cuts = times.agg(F.percentile_approx("t", [i / parts for i in range(1, parts)] or [0.5], 10_000)).first()[0] or []
+    held = F.array(*map(F.lit, sorted(set(cuts)))) if cuts else F.array().cast("array<double>")
+    range_of = F.size(F.filter(held, lambda cut: cut < F.col("_finish")))
+    ordered = rows.withColumn("_range", range_of).repartitionById(max(1, len(set(cuts)) + 1), "_range").sortWithinPartitions("_finish", "_id", "_copy")
+    return ordered.withColumn(text_col, text).select(*docs.columns)
 
 
 def op3_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
