@@ -1,7 +1,8 @@
 """Lineage cuts: tables written once to the folder that driver and executors share.
 
-The folder is the session's ``spark.checkpoint.dir``; a temporary one is set only
-where that is unset (single-machine sessions, such as tests)."""
+The folder is the session's ``spark.checkpoint.dir``; a temporary one is set only where
+that is unset and the master is local (tests). On a cluster an unset folder is an error,
+since executors would write to disks of their own."""
 
 from __future__ import annotations
 
@@ -18,18 +19,32 @@ _written: dict[str, SparkSession] = {}
 def shared_dir(spark: SparkSession) -> str:
     """URI of the folder that all executors and the driver can read and write."""
     base = spark.conf.get("spark.checkpoint.dir", None)
-    if base and "://" not in base and not base.startswith("file:"):
-        base = f"file://{base}" if spark.sparkContext.master.startswith("local[") else base
     if not base:
         holder = spark.sparkContext._jsc.sc().getCheckpointDir()
         if holder.isDefined():
             base = holder.get()
-        else:
+        elif is_local(spark):
             base = f"file://{tempfile.mkdtemp(prefix='pathmeet-')}"
             spark.sparkContext.setCheckpointDir(base)
+        else:
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if "://" not in base and not base.startswith("file:"):
+        base = f"file://{base}" if is_local(spark) else _qualified(spark, base)
     return base.rstrip("/")
 
 
+def is_local(spark: SparkSession) -> bool:
+    """True where driver and executors are one process."""
+    master = spark.sparkContext.master
+    return master == "local" or master.startswith("local[")
+
+
+def _qualified(spark: SparkSession, path: str) -> str:
+    """The path with the scheme of the file system that Spark itself would use for it."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(target).toString()
+
+
 def new_path(spark: SparkSession, name: str) -> str:
     """A fresh folder name below the shared folder; removed when the process ends."""
     path = f"{shared_dir(spark)}/pathmeet-{name}-{uuid.uuid4().hex[:12]}"
