@@ -1,19 +1,25 @@
 """Mixing sources to target weights by weighted fair queueing.
 
-Documents of a source are shuffled (by the md5 of id and seed). A document that is read
-as copy ``e`` of a source with ``S`` words in all finishes at virtual time
-``(e * S + words up to its end) / weight``; the mix is the sequence by virtual time, cut
-where the word budget is spent. A source leaves the queue at its cap of ``max_epochs``
-times its size, and what it leaves is shared by the others, so the cut is at one virtual
-time for all sources that are still in the queue: the water level of the targets.
-
-The running word counts are two prefix sums: over the totals of hash-prefix buckets, then
-inside each bucket, so a source with most of all rows is spread over many tasks.
+Documents of a source are shuffled (by the md5 of id and seed) and queue up ``max_epochs``
+times. They are sent in packets of at most ``budget / PACKETS`` words, so that one very long
+document cannot hold up its source; a packet that ends at word ``w`` of its source's queue
+finishes at virtual time ``w / weight``, kept as a whole number of ticks. Packets are sorted
+by (finish, source) over all sources and the sequence is cut where the word budget is spent:
+the packet at the cut is taken in part, nothing behind it is taken. A source whose queue
+ends early leaves its share to the others, so taken words come to the water level that
+``targets`` states, within one packet.
+
+The sort is by ranges of virtual time. Sources are served at constant rates, so ranges of
+equal width hold about equally many words; their totals tell which range the cut is in, and
+only that range is divided further and, when small, sorted. The running word counts inside
+a source are prefix sums over hash-prefix buckets, then inside each bucket, so a source with
+most of all rows is spread over many tasks.
 
 Defined results: null text has no words; sources go by code point, null last; a source
-without words has target 0; the document at the cut is taken in part, so each source
-takes the whole part of its target; rows that repeat an id are separate documents; null
-ids shuffle like the text "null". Empty tables give empty results.
+without words has target 0; rows that repeat an id are separate documents; null ids shuffle
+like the text "null" but stay apart from it; very long texts are counted whole. Ties in the
+shuffle go by id and size. Empty tables give empty results. The table of sources is sorted in
+one task, which suits some 10^7 sources.
 """
 
 from __future__ import annotations
@@ -26,14 +32,13 @@ from pyspark.sql.window import Window
 
 from pathmeet.joins import bounded_join
 from pathmeet.llm.text_kernels import leading_words, word_count
+from pathmeet.rows import free_name, numbered
 from pathmeet.scratch import staged
 
 #: Rows that a bucket of the running sums is meant to hold, and the most bits of a bucket number.
 BUCKET_ROWS, BUCKET_BITS = 256, 16
-
-#: Numbers of the copies of a planned document, and the virtual time at which one finishes.
-COPIES = "sequence(0L, if(_size = 0, 1, (_taken + _size - 1) div _size) - 1)"
-FINISH = "cast((_copy * _place.source_size + _place.start + least(_size, _taken - _copy * _size)) as double) / _place.weight"
+#: The budget divided by the words of a packet, the ranges that virtual time is divided into, and the packets that one task sorts.
+PACKETS, RANGES, LEAF = 1 << 20, 4096, 50_000
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, share: float = 1.0) -> DataFrame:
@@ -57,16 +62,15 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_epochs:
     return t.select("source", "sid", "weight", "source_size", target.alias("target"))
 
 
-def allotments(
-    spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
-    weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, share: float = 1.0, seed: str = "mix",
-) -> DataFrame:
-    """One row per document: id, source, size, source_size, weight, target, start, taken.
+def queued(
+    docs: DataFrame, id_col: str, text_col: str, source_col: str, weights: tuple[int, ...], max_epochs: int, share: float, seed: str, row_col: str | None
+) -> DataFrame:
+    """(id, row, source, size, source_size, sid, weight, rate, target, start) of every document, written once.
 
-    ``start`` is the document's place in its source, in words; copy ``e`` of it finishes at
-    virtual time ``(e * source_size + start + size) / weight``."""
+    ``start`` is the place in the shuffled source, in words, and ``rate`` the ticks of virtual time that a word takes."""
     draw = F.md5(F.concat_ws(":", F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.lit(seed)).cast("binary"))
-    sized = staged(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), draw.alias("draw")), "mix-sizes")
+    row = F.monotonically_increasing_id() if row_col is None else F.col(row_col)
+    sized = staged(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), draw.alias("draw"), row.alias("row")), "mix-sizes")
     totals = staged(targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, max_epochs, share), "mix-targets")
     rows = sized.count()
     bits = min(BUCKET_BITS, max(0, math.ceil(math.log2(max(1, rows / BUCKET_ROWS)))))
@@ -78,20 +82,62 @@ def allotments(
     sums = sums.select("sid", "bucket", ahead.alias("ahead"))
     inside = F.sum("size").over(Window.partitionBy("sid", "bucket").orderBy("draw", "id", "size").rowsBetween(Window.unboundedPreceding, 0))
     placed = known.withColumn("start", inside - F.col("size")).join(sums, ["sid", "bucket"]).withColumn("start", F.col("start") + F.col("ahead"))
-    quota = F.floor("target").cast("long")
-    once = F.greatest(F.col("source_size"), F.lit(1))
-    part = F.greatest(F.lit(0), F.least(F.col("size"), F.pmod(quota, once) - F.col("start")))
-    taken = F.when(F.col("source_size") > 0, F.expr("cast(floor(target) as bigint) div source_size") * F.col("size") + part).otherwise(F.lit(0))
-    return placed.select(F.col("id").alias(id_col), F.col("source").alias(source_col), "size", "source_size", "weight", "target", "start", taken.cast("long").alias("taken"))
+    rate = F.expr(f"{math.lcm(*weights)}L div weight")
+    return staged(placed.select("id", "row", "source", "size", "source_size", "sid", "weight", rate.alias("rate"), "target", "start"), "mix-queue")
+
+
+def packets(queue: DataFrame, most_words: int, max_epochs: int) -> DataFrame:
+    """(tick, sid, words): every packet of the queue with its virtual finish time."""
+    copies = queue.where("size > 0").withColumn("epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(max_epochs - 1).cast("long"))))
+    parts = copies.withColumn("part", F.explode(F.expr(f"sequence(0L, (size - 1) div {most_words}L)")))
+    done = F.expr(f"least(size, (part + 1) * {most_words}L)")
+    return parts.select(((F.col("epoch") * F.col("source_size") + F.col("start") + done) * F.col("rate")).alias("tick"), "sid", (done - F.col("part") * most_words).alias("words"))
+
+
+def cut_of(sent: DataFrame, budget: int) -> tuple[int, int, int]:
+    """(tick, sid, words) of the packet at which the budget ends, and its words that are still taken.
+
+    Totals of at most ``RANGES`` ranges of virtual time come to the driver in each round."""
+    low, high = 0, (sent.agg(F.max("tick")).first()[0] or 0) + 1
+    left = budget
+    while True:
+        width = -(-(high - low) // RANGES)
+        inside = sent.where((F.col("tick") >= low) & (F.col("tick") < high))
+        found = inside.groupBy(F.expr(f"(tick - {low}L) div {width}L").alias("range")).agg(F.sum("words").alias("words"), F.count("*").alias("n")).collect()
+        for r in sorted(found, key=lambda r: r.range):
+            if r.words >= left:
+                low, high = low + r.range * width, min(high, low + (r.range + 1) * width)
+                break
+            left -= r.words
+        else:
+            return high, 0, 0  # the queues end before the budget
+        if r.n <= LEAF or high - low == 1:
+            break
+    order = Window.orderBy("tick", "sid")
+    leaf = sent.where((F.col("tick") >= low) & (F.col("tick") < high)).withColumn("total", F.sum("words").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    last = leaf.where(F.col("total") >= left).orderBy("tick", "sid").first()
+    return last.tick, last.sid, left - (last.total - last.words)
 
 
-def sequence(allotted: DataFrame) -> DataFrame:
-    """The mix: one row per document copy with its words taken, range-sorted by virtual finish time."""
-    size = F.greatest(F.col("size"), F.lit(1))
-    copies = allotted.where("taken > 0").withColumn("copy", F.explode(F.sequence(F.lit(0).cast("long"), F.expr("(taken - 1) div size"))))
-    words = F.least(F.col("size"), F.col("taken") - F.col("copy") * size)
-    finish = (F.col("copy") * F.col("source_size") + F.col("start") + words) / F.col("weight")
-    return copies.withColumn("words", words).withColumn("finish", finish).repartitionByRange("finish").sortWithinPartitions("finish")
+def allotments(
+    spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
+    weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, share: float = 1.0, seed: str = "mix", row_col: str | None = None,
+) -> DataFrame:
+    """One row per document: id, row, source, size, source_size, weight, rate, target, start, copies, taken.
+
+    ``copies`` lists the words taken of each repetition: the document's packets before the cut of the sequence."""
+    queue = queued(docs, id_col, text_col, source_col, weights, max_epochs, share, seed, row_col)
+    budget = math.floor((queue.agg(F.sum("size")).first()[0] or 0) * share)
+    most_words = max(1, budget // PACKETS)
+    tick, sid, part = cut_of(packets(queue, most_words, max_epochs), budget) if budget else (0, 0, 0)
+    reached = f"(if(sid < {sid}, {tick}L, {tick}L - 1) div rate - (e * source_size + start))"
+    whole = f"if({reached} >= size, size, greatest(0L, {reached}) div {most_words}L * {most_words}L)"
+    end = f"({tick}L div rate - (e * source_size + start))"
+    at_cut = f"(sid = {sid} and {tick}L % rate = 0 and {end} > 0 and ({end} = size or ({end} < size and {end} % {most_words}L = 0)))"
+    words = F.expr(f"transform(sequence(0L, {max_epochs - 1}L), e -> {whole} + if({at_cut}, {part}L, 0L))")
+    taken = F.expr("aggregate(copies, 0L, (a, x) -> a + x)")
+    named = queue.withColumn("copies", words).withColumn("taken", taken)
+    return named.select(F.col("id").alias(id_col), "row", F.col("source").alias(source_col), "size", "source_size", "weight", "rate", "target", "start", "copies", "taken")
 
 
 def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
@@ -99,26 +145,20 @@ def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
 
     Copies are range-sorted by virtual finish time: partitions follow each other, and rows
     inside them are in order. Documents without words weigh nothing and stay once, at their
-    place in the source. Rows that repeat an id share the allotment of their rows."""
-    share = allotments(spark, docs, id_col, text_col, source_col, **options)
-    plan = share.groupBy(F.coalesce(F.col(id_col).cast("string"), F.lit("null")).alias("_id")).agg(
-        F.expr("max(size)").alias("_size"), F.expr("cast(ceil(sum(taken) / count(*)) as bigint)").alias("_taken"),
-        F.min_by(F.struct("start", "source_size", "weight"), "start").alias("_place"),
-    )
-    plan = staged(plan.where("_size = 0 or _taken > 0"), "mix-plan")
-    keyed = docs.withColumn("_id", F.coalesce(F.col(id_col).cast("string"), F.lit("null"))).join(plan, "_id")
-    rows = keyed.withColumn("_copy", F.explode(F.expr(COPIES)))
-    words = F.col("_taken") - F.col("_copy") * F.col("_size")
-    whole = (F.col("_size") == 0) | (words >= F.col("_size"))
-    text = F.when(whole, F.col(text_col)).otherwise(leading_words(F.col(text_col), words))
-    rows = rows.withColumn("_finish", F.expr(FINISH))
+    place in the source. Rows are told apart by numbers, so repeated ids are separate documents."""
+    held, row = numbered(docs, "mix-docs")
+    share = allotments(spark, held, id_col, text_col, source_col, row_col=row, **options)
+    once = F.when(F.col("size") == 0, F.array(F.lit(0).cast("long"))).otherwise(F.col("copies"))
+    copies = share.select(F.col("row"), "size", "source_size", "start", "rate", F.posexplode(once).alias("epoch", "words")).where("size = 0 or words > 0")
+    plan = staged(copies.select("row", "size", "words", ((F.col("epoch") * F.col("source_size") + F.col("start") + F.col("words")) * F.col("rate")).alias("tick")), "mix-plan")
     # ranges are drawn on the slim plan, since repartitionByRange would join all texts once more to sample them
     parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
-    times = plan.select("*", F.explode(F.expr(COPIES)).alias("_copy")).select(F.expr(FINISH).alias("t"))
-    cuts = times.agg(F.percentile_approx("t", [i / parts for i in range(1, parts)] or [0.5], 10_000)).first()[0] or []
-    held = F.array(*map(F.lit, sorted(set(cuts)))) if cuts else F.array().cast("array<double>")
-    range_of = F.size(F.filter(held, lambda cut: cut < F.col("_finish")))
-    ordered = rows.withColumn("_range", range_of).repartitionById(max(1, len(set(cuts)) + 1), "_range").sortWithinPartitions("_finish", "_id", "_copy")
+    cuts = sorted(set(plan.agg(F.percentile_approx("tick", [i / parts for i in range(1, parts)] or [0.5], 10_000)).first()[0] or []))
+    bounds = F.array(*map(F.lit, cuts)) if cuts else F.array().cast("array<bigint>")
+    mix, place = free_name(held.columns, "mix"), free_name(held.columns, "place")
+    keyed = plan.select(F.col("row").alias(row), F.struct("tick", "size", "words").alias(mix), F.size(F.filter(bounds, lambda cut: cut < F.col("tick"))).alias(place))
+    ordered = held.join(keyed, row).repartitionById(len(cuts) + 1, place).sortWithinPartitions(f"{mix}.tick", row)
+    text = F.when(F.col(f"{mix}.words") >= F.col(f"{mix}.size"), F.col(text_col)).otherwise(leading_words(F.col(text_col), F.col(f"{mix}.words")))
     return ordered.withColumn(text_col, text).select(*docs.columns)
 
 
@@ -147,14 +187,19 @@ t AS (
                    / (all_weight - coalesce(sum(CASE WHEN is_full THEN weight END) OVER (), 0))::DOUBLE END AS target
   FROM f),
 r AS (
-  SELECT d.doc_id, d.size, t.source_size, t.target,
+  SELECT d.doc_id, d.size, t.sid, t.source_size, t.target, 10 // [5, 2, 1][(t.sid % 3 + 1)::INT] AS rate,
+         row_number() OVER (ORDER BY d.doc_id) AS row,
          sum(d.size) OVER (PARTITION BY t.sid ORDER BY d.draw, d.doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - d.size AS start
-  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target,
-       CASE WHEN source_size = 0 THEN 0 ELSE
-         (floor(target)::BIGINT // source_size) * size
-         + greatest(0, least(size, floor(target)::BIGINT % source_size - start)) END::BIGINT AS taken
-FROM r
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+m AS (SELECT sum(size)::BIGINT AS budget, greatest(1, sum(size)::BIGINT // 1048576) AS most_words FROM d),
+e AS (SELECT r.*, epoch, unnest(generate_series(0, (size - 1) // most_words)) AS part, most_words, budget
+      FROM r, m, (SELECT unnest(generate_series(0, 2)) AS epoch) WHERE size > 0),
+p AS (SELECT row, sid, (epoch * source_size + start + least(size, (part + 1) * most_words)) * rate AS tick,
+             least(size, (part + 1) * most_words) - part * most_words AS words, budget FROM e),
+o AS (SELECT row, words, budget, sum(words) OVER (ORDER BY tick, sid ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS total FROM p),
+k AS (SELECT row, sum(greatest(0, least(words, budget - (total - words))))::BIGINT AS taken FROM o GROUP BY row)
+SELECT doc_id, size, source_size, target, coalesce(taken, 0)::BIGINT AS taken
+FROM r LEFT JOIN k USING (row)
 """
 
 QUERIES = {"op3_source_mixing": op3_source_mixing}

@@ -15,8 +15,8 @@ def test_copies_come_in_finish_order(spark):
     for r in mix:
         a, n = allotted[r.doc_id], len(r.text.split())
         copy = copies[r.doc_id] = copies.get(r.doc_id, -1) + 1
-        assert n == min(a.size, a.taken - copy * a.size)
-        times.append((copy * a.source_size + a.start + n) / a.weight)
+        assert n == a.copies[copy]
+        times.append((copy * a.source_size + a.start + n) * a.rate)
     assert times == sorted(times)
     assert sum(len(r.text.split()) for r in mix) == sum(a.taken for a in allotted.values())
     assert max(copies.values()) > 0
