@@ -12,17 +12,28 @@ def held_out(id_column: Column) -> Column:
     return F.coalesce(F.crc32(id_column.cast("string").cast("binary")) % 4 == 2, F.lit(True))
 
 
+#: Windows that a long training text is read through.
+EXCERPTS = 4
+
+
+def excerpt(text: Column, most_chars: int) -> Column:
+    """A text of at most ``most_chars`` code points whole; of a longer one, ``EXCERPTS`` windows spread over all of it."""
+    size = max(1, most_chars // EXCERPTS)
+    starts = [((F.length(text) - size) * i / (EXCERPTS - 1)).cast("int") + 1 for i in range(EXCERPTS)]
+    return F.when(F.length(text) <= most_chars, text).otherwise(F.concat_ws("\n", *(text.substr(at, F.lit(size)) for at in starts)))
+
+
 def training_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, most_chars: int, id_col: str = "doc_id", text_col: str = "text") -> list[tuple[str, int]]:
     """(text, label) of at most ``rows`` labelled rows of each class, in the order of a hash of their id.
 
-    Rows that are held out, and texts of more than ``most_chars`` code points, never enter.
-    The bound is on the fit alone; scores are computed for all rows."""
+    Rows that are held out never enter; null texts are empty; of a text of more than ``most_chars`` code points,
+    windows spread over it are read. The bound is on the fit alone; scores are computed for all rows and whole texts."""
     known = labels.where(F.col(label).isin(0, 1) & ~held_out(F.col(id_col))).select(F.col(id_col).alias("_id"), F.col(label).cast("int").alias("_y"))
     picked = None
     for y in (0, 1):
         some = known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(rows)
         picked = some if picked is None else picked.unionByName(some)
-    usable = docs.where(F.col(text_col).isNotNull() & (F.length(text_col) <= most_chars)).select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+    usable = docs.select(F.col(id_col).alias("_id"), excerpt(F.coalesce(F.col(text_col), F.lit("")), most_chars).alias("_text"))
     found = usable.join(F.broadcast(picked), "_id").collect()
     return sorted({(r._id, r._text): (r._text, r._y) for r in found}.values())
 

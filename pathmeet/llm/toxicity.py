@@ -1,21 +1,32 @@
-"""Toxicity by compression distance: windows of a text against two Zstandard dictionaries.
+"""Toxicity by compression distance: windows of a text against two trained Zstandard dictionaries.
 
-Two dictionaries are trained on labelled texts: the ordinary one holds the most frequent
-words of ordinary texts; the toxic one holds those of toxic texts, which are the ordinary
-words and the words that toxic texts use significantly more often. A window of a few words is
-compressed with both; the bytes that the toxic dictionary saves are the window's distance.
-A text's score comes from the distances of all its windows by a logistic calibration, shifted
-so that the cut that serves the training rows best is at ``threshold``.
+Both classes share a base dictionary, trained on a third of the ordinary training texts.
+On top of it the ordinary dictionary is trained on windows of other ordinary texts, and the
+toxic one on windows of toxic texts. A window of a few words is compressed with both; the
+bytes that the toxic dictionary saves are the window's distance.
+
+Most windows of a toxic text are ordinary, so toxic windows are found by cross-fitting:
+the toxic texts are split into parts, each part's windows are measured with a dictionary
+trained on the windows of the other parts, and only those whose distance is beyond the
+``RARE`` quantile of untouched ordinary windows train the next round's dictionaries. What
+recurs across toxic texts is kept; what a dictionary has merely seen before is not.
+
+A text's score comes from the distances of all its windows by a logistic calibration. The
+training texts are dealt into ``FOLDS`` folds with a pair of dictionaries each, trained without the
+fold. A fold's features come from its own pair, and the size of the class dictionaries, the ridge and
+the cut (shifted to ``threshold``) are chosen on these out-of-fold scores; other texts get
+the mean over the pairs. Held-out rows are never looked at.
 
 Defined results: null, empty and blank texts get the score of a text whose windows save
-nothing. Labels of held-out rows, language, source and id are never read by a score. If
-the training rows lack a class, every score is the share of toxic rows (0 without rows).
+nothing. Very long texts are scored whole. Labels of held-out rows, language, source and id
+are never read by a score; equal texts get equal scores. If the training rows lack a class,
+every score is the share of toxic rows (0 without rows). Empty tables give empty results.
 """
 
 from __future__ import annotations
 
 import zlib
-from collections import Counter
+from collections.abc import Iterable
 
 import numpy as np
 import pyarrow as pa
@@ -26,14 +37,19 @@ from pyspark.sql import types as T
 from pathmeet.llm.labelled import fit_logistic, held_out, logit, sigmoid, training_sample
 
 #: Words in a window, and the byte that stands around words.
-WINDOW_WORDS, MARK = 6, b"~"
-#: Most words of the ordinary dictionary, and the sizes tried for the toxic words.
-ORDINARY_WORDS, TOXIC_SIZES = 1200, (8, 16, 32)
+WINDOW_WORDS, MARK = 4, b"~"
+#: Bytes of the common base, and of the class dictionaries that are tried.
+BASE_BYTES, CLASS_BYTES = 1 << 16, (1024, 2048)
+#: Folds of the calibration, each with its own pair of dictionaries.
+FOLDS = 3
+#: Parts and rounds of the cross-fitting, the quantile of ordinary distances that a toxic window exceeds, and most windows of a training.
+PARTS, ROUNDS, RARE, MOST_WINDOWS = 4, 5, 0.99, 40_000
 #: Ridges tried in the calibration.
-RIDGES = (0.01, 0.1, 1.0, 10.0)
+RIDGES = (0.1, 1.0, 10.0, 100.0)
 #: Bytes that separate words here: everything in ASCII but letters.
 APART = bytes(b for b in range(128) if not (0x41 <= b <= 0x5A or 0x61 <= b <= 0x7A))
 TO_SPACE = bytes.maketrans(APART, b" " * len(APART))
+FEATURES = 7
 
 
 def words_of(text: str) -> list[bytes]:
@@ -44,112 +60,145 @@ def windows(words: list[bytes]) -> list[bytes]:
     return [MARK + MARK.join(words[i : i + WINDOW_WORDS]) + MARK for i in range(0, len(words), WINDOW_WORDS)]
 
 
-def compressor(words: list[bytes]):
-    """Compressor of short windows with a dictionary of these words, the weightiest last."""
+def shuffled(found: Iterable[bytes]) -> list[bytes]:
+    """Distinct windows in the order of a checksum, at most ``MOST_WINDOWS``."""
+    return sorted(set(found), key=lambda w: (zlib.crc32(w), w))[:MOST_WINDOWS]
+
+
+def trained(samples: list[bytes], size: int) -> bytes:
+    """A Zstandard dictionary of about ``size`` bytes for the samples; the samples themselves where they are too few to train on."""
+    import zstandard
+
+    if sum(map(len, samples)) > 2 * size:
+        try:
+            return zstandard.train_dictionary(size, samples, k=16, d=6).as_bytes()
+        except zstandard.ZstdError:
+            pass
+    return b"".join(samples)[:size]
+
+
+def compressor(content: bytes):
+    """Compressor of short windows with a dictionary; matches shorter than six bytes are noise of common syllables."""
     import zstandard
 
-    content = MARK + MARK.join(words) + MARK
     held = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
     parameters = zstandard.ZstdCompressionParameters.from_level(
-        1, min_match=5, hash_log=17, chain_log=17, format=zstandard.FORMAT_ZSTD1_MAGICLESS, write_content_size=False, write_checksum=False, write_dict_id=False
-    )
+        1, min_match=6, hash_log=17, window_log=18, strategy=zstandard.STRATEGY_FAST,
+        format=zstandard.FORMAT_ZSTD1_MAGICLESS, write_content_size=False, write_checksum=False, write_dict_id=False,
+    )
     held.precompute_compress(compression_params=parameters)
     return zstandard.ZstdCompressor(dict_data=held, compression_params=parameters)
 
 
-def contrast(texts: list[tuple[list[bytes], int]], most: int) -> tuple[list[bytes], list[bytes]]:
-    """Ordinary words by frequency, and the words that toxic texts use significantly more often, strongest first.
-
-    Words are counted once per text. A word counts as toxic if at least two in a hundred toxic texts have
-    it, at least four times the share of ordinary ones, with a z-score above 5."""
-    seen: tuple[Counter, Counter] = (Counter(), Counter())
-    rows = [0, 0]
-    for words, y in texts:
-        seen[y].update(set(words))
-        rows[y] += 1
-    strength = {}
-    for word, a in seen[1].items():
-        b = seen[0][word]
-        p = (a + b) / sum(rows)
-        z = (a / rows[1] - b / rows[0]) / np.sqrt(max(1e-12, p * (1 - p)) * (1 / rows[1] + 1 / rows[0]))
-        if len(word) > 2 and a >= max(3, 0.02 * rows[1]) and a / rows[1] >= 4 * (b + 0.5) / rows[0] and z > 5:
-            strength[word] = z
-    toxic = sorted(strength, key=lambda w: (-strength[w], w))[:most]
-    ordinary = [w for w, _ in sorted(seen[0].items(), key=lambda x: (-x[1], x[0])) if w not in strength][:ORDINARY_WORDS]
-    return ordinary, toxic
+def lengths(content: bytes, cut: list[bytes]) -> np.ndarray:
+    compress = compressor(content).compress
+    return np.fromiter((len(compress(w)) for w in cut), np.int64, len(cut))
 
 
-class CompressionDistance:
-    """The two dictionaries and the calibration; plain data, so it ships to executors."""
+class Dictionaries:
+    """The ordinary and the toxic dictionary; plain data, so it ships to executors."""
 
-    def __init__(self, ordinary: list[bytes], toxic: list[bytes]):
-        self.ordinary, self.toxic = ordinary[::-1], toxic[::-1]
-        self.mean = self.scale = self.weights = None
-        self.shift, self.base = 0.0, 0.0
+    def __init__(self, ordinary: bytes, toxic: bytes, rare: float):
+        self.ordinary, self.toxic, self.rare = ordinary, toxic, rare
         self.pair = None
 
     def __getstate__(self):
         return self.__dict__ | {"pair": None}
 
-    def saved(self, words: list[bytes]) -> np.ndarray:
+    def distances(self, words: list[bytes]) -> np.ndarray:
         """Bytes that the toxic dictionary saves in each window."""
         if self.pair is None:
-            self.pair = compressor(self.ordinary), compressor(self.ordinary + self.toxic)
+            self.pair = compressor(self.ordinary), compressor(self.toxic)
         plain, toxic = (x.compress for x in self.pair)
         cut = windows(words)
         return np.fromiter((len(plain(w)) - len(toxic(w)) for w in cut), np.int64, len(cut))
 
     def features(self, words: list[bytes]) -> list[float]:
-        d = self.saved(words)
+        d = self.distances(words)
         if not len(d):
-            return [0.0] * 6
-        return [min(20, d.max()), *(float(np.log1p((d >= k).sum())) for k in (2, 4, 6)), float(np.log(len(d))), float(np.clip(d, -3, 8).mean())]
-
-    def fit(self, texts: list[tuple[list[bytes], int]], threshold: float) -> float:
-        """Calibrates on the texts; returns the log-loss of two-fold cross-validation.
-
-        The ridge is the one of least cross-validated loss, and the cut the one of best F1
-        among the scores that the folds give to each other's rows, so small samples are not
-        judged by rows that they were fitted on."""
-        x, y = np.array([self.features(w) for w, _ in texts]), np.array([y for _, y in texts])
-        self.mean, self.scale = x.mean(0), x.std(0) + 1e-9
-        x = np.c_[(x - self.mean) / self.scale, np.ones(len(x))]
-        part = np.array([zlib.crc32(b" ".join(w)) % 2 for w, _ in texts])
-        tried = []
-        for ridge in RIDGES:
-            p = np.zeros(len(y))
-            for k in (0, 1):
-                p[part == k] = sigmoid(x[part == k] @ fit_logistic(x[part != k], y[part != k], ridge))
-            p = np.clip(p, 1e-6, 1 - 1e-6)
-            tried.append((-float((y * np.log(p) + (1 - y) * np.log(1 - p)).sum()), ridge, p))
-        loss, ridge, p = min(tried, key=lambda t: t[:2])
-        self.weights = fit_logistic(x, y, ridge)
-        cuts = np.unique(np.quantile(p, np.linspace(0.02, 0.995, 196)))
-        f1 = [2 * (y[p >= c].sum()) / max(1, (p >= c).sum() + y.sum()) for c in cuts]
-        self.shift = logit(threshold) - logit(float(cuts[int(np.argmax(f1))]))
-        return loss
+            return [0.0] * FEATURES
+        top = np.sort(d)[::-1][:4]
+        beyond = d > self.rare
+        return [float(top[0]), float(top[:2].mean()), float(top.mean()), float(d.mean()), float(np.log1p(beyond.sum())), float(np.log(len(d))), float(beyond.mean())]
+
+
+def learn(ordinary: list[list[bytes]], toxic: list[list[bytes]], size: int) -> Dictionaries:
+    """Trains both dictionaries on the words of the texts of each class."""
+    thirds = [shuffled(w for t in ordinary[i::3] for w in windows(t)) for i in range(3)]
+    usual = set().union(*map(set, thirds))
+    base, untouched = trained(thirds[0], BASE_BYTES), thirds[2][: MOST_WINDOWS // 2]
+    parts = [[w for w in shuffled(w for t in toxic[i::PARTS] for w in windows(t)) if w not in usual] for i in range(PARTS)]
+    chosen = parts
+    for turn in range(ROUNDS):
+        now = max(size, 8192 >> (2 * turn))  # wide at first, then as narrow as the result
+        plain = base + trained(thirds[1], now)
+        plain_untouched = lengths(plain, untouched)
+        kept = []
+        for i, own in enumerate(parts):
+            other = base + trained([w for j, part in enumerate(chosen) if j != i for w in part], now)
+            usual_distance = plain_untouched - lengths(other, untouched)
+            rare = np.quantile(usual_distance, RARE) if len(untouched) else 0.0
+            kept.append([w for w, d in zip(own, lengths(plain, own) - lengths(other, own), strict=True) if d > rare])
+        if sum(map(len, kept)) < 4 * PARTS:
+            break
+        chosen = kept
+    plain, other = base + trained(thirds[1], size), base + trained([w for part in chosen for w in part], size)
+    rare = float(np.quantile(lengths(plain, untouched) - lengths(other, untouched), RARE)) if untouched else 0.0
+    return Dictionaries(plain, other, rare)
+
+
+class CompressionDistance:
+    """Dictionaries and calibration."""
+
+    def __init__(self, base: float = 0.0):
+        self.pairs: list[Dictionaries] = []
+        self.mean = self.scale = self.weights = None
+        self.shift, self.base = 0.0, base
 
     def score(self, texts: list[str | None]) -> np.ndarray:
         if self.weights is None:
             return np.full(len(texts), self.base)
-        x = np.array([self.features(words_of(t or "")) for t in texts]).reshape(len(texts), 6)
-        return sigmoid(np.c_[(x - self.mean) / self.scale, np.ones(len(x))] @ self.weights + self.shift)
+        words = [words_of(t or "") for t in texts]
+        total = np.zeros(len(texts))
+        for pair in self.pairs:
+            x = np.array([pair.features(w) for w in words]).reshape(len(texts), FEATURES)
+            total += np.c_[(x - self.mean) / self.scale, np.ones(len(x))] @ self.weights
+        return sigmoid(total / len(self.pairs) + self.shift)
 
 
 def train(sample: list[tuple[str, int]], threshold: float = 0.3) -> CompressionDistance:
-    """Trains on (text, toxic) rows; the number of toxic words is the one of least cross-validated loss."""
-    texts = [(words_of(t), y) for t, y in sample]
-    both = {y for _, y in texts}
-    if both != {0, 1}:
-        model = CompressionDistance([], [])
-        model.base = float(np.mean([y for _, y in texts])) if texts else 0.0
-        return model
-    ordinary, toxic = contrast(texts, max(TOXIC_SIZES))
+    """Trains on (text, toxic) rows; all choices are made on out-of-fold scores."""
+    texts = sorted({t: (words_of(t), y) for t, y in sample}.values(), key=lambda r: zlib.crc32(b" ".join(r[0])))
+    y = np.array([y for _, y in texts])
+    if set(y.tolist()) != {0, 1}:
+        return CompressionDistance(float(np.mean([y for _, y in sample])) if sample else 0.0)
+    fold = np.zeros(len(y), int)
+    for k in (0, 1):
+        fold[y == k] = np.arange((y == k).sum()) % FOLDS
     tried = []
-    for size in sorted({min(k, len(toxic)) for k in TOXIC_SIZES}):
-        model = CompressionDistance(ordinary, toxic[:size])
-        tried.append((model.fit(texts, threshold), size, model))
-    return min(tried, key=lambda t: t[:2])[2]
+    for size in CLASS_BYTES:
+        x, pairs = np.zeros((len(y), FEATURES)), []
+        for k in range(FOLDS):
+            ordinary, toxic = ([texts[i][0] for i in np.flatnonzero((fold != k) & (y == c))] for c in (0, 1))
+            pairs.append(learn(ordinary, toxic, size))
+            for i in np.flatnonzero(fold == k):
+                x[i] = pairs[k].features(texts[i][0])
+        mean, scale = x.mean(0), x.std(0) + 1e-9
+        z = np.c_[(x - mean) / scale, np.ones(len(x))]
+        for ridge in RIDGES:
+            p = np.zeros(len(y))
+            for k in range(FOLDS):
+                p[fold == k] = sigmoid(z[fold == k] @ fit_logistic(z[fold != k], y[fold != k], ridge))
+            p = np.clip(p, 1e-6, 1 - 1e-6)
+            loss = -float((y * np.log(p) + (1 - y) * np.log(1 - p)).sum())
+            tried.append((loss, size, ridge, p, mean, scale, z, pairs))
+    _, _, ridge, p, mean, scale, z, pairs = min(tried, key=lambda t: t[:3])
+    model = CompressionDistance()
+    model.pairs, model.mean, model.scale, model.weights = pairs, mean, scale, fit_logistic(z, y, ridge)
+    cuts = np.unique(np.quantile(p, np.linspace(0.02, 0.995, 196)))
+    f1 = [2 * (y[p >= c].sum()) / max(1, (p >= c).sum() + y.sum()) for c in cuts]
+    model.shift = logit(threshold) - logit(float(cuts[int(np.argmax(f1))]))
+    return model
 
 
 def toxicity(model: CompressionDistance, text: Column) -> Column:

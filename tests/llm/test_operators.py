@@ -263,9 +263,7 @@ def test_held_out_rule(spark):
     assert all(r.out == (zlib.crc32(str(r.id).encode()) % 4 == 2) for r in rows)
 
 
-# sf0.01 has some 35 toxic training rows and 94 judged ones: held-out accuracy there is 0.883, under the 0.9 asked
-# for below, so toxicity is judged on sf0.1; the README gives both figures
-@pytest.mark.parametrize("module, label, threshold, least, size", [(pair_quality, "quality", 0.7, 0.95, "sf0.01"), (toxicity, "toxic", 0.3, 0.9, "sf0.1")])
+@pytest.mark.parametrize("module, label, threshold, least, size", [(pair_quality, "quality", 0.7, 0.95, "sf0.01"), (toxicity, "toxic", 0.3, 0.9, "sf0.01")])
 def test_classifiers_on_held_out_rows(spark, odd, none, module, label, threshold, least, size):
     folder = f"/root/testdata/{size}"
     docs, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
@@ -282,6 +280,33 @@ def test_classifiers_on_held_out_rows(spark, odd, none, module, label, threshold
     assert module.scored(spark, none, few.limit(0)).count() == 0
 
 
+def test_long_and_null_texts_train(spark):
+    from pathmeet.llm.labelled import training_sample
+
+    ids = [i for i in range(40) if zlib.crc32(str(i).encode()) % 4 != 2][:3]
+    docs = spark.createDataFrame([(ids[0], "x" * 50_000 + "END"), (ids[1], None), (ids[2], "short")], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, k % 2) for k, i in enumerate(ids)], "doc_id long, toxic int")
+    found = training_sample(docs, labels, "toxic", 10, 1000)
+    assert sorted((len(t), y) for t, y in found) == [(0, 1), (5, 0), (1003, 0)] and max(found)[0].endswith("END")
+
+
+def test_dictionaries_are_trained_on_their_own_class():
+    rng = np.random.default_rng(7)
+    syllables = ["ba", "do", "fi", "gu", "ke", "lo", "mi", "nu", "po", "ra", "se", "ti", "vo", "wu", "xi", "za"]
+    word = lambda: "".join(rng.choice(syllables, rng.integers(2, 5)))
+    texts = [([word() for _ in range(80)], k % 4 == 0) for k in range(600)]
+    for words, bad in texts:
+        for at in rng.integers(0, 80, 5 * bad):
+            words[at] = ["wretch", "knavery", "villain"][at % 3]
+    rows = [(" ".join(words), int(bad)) for words, bad in texts]
+    model = toxicity.train(rows[:450])
+    assert b"villain" in model.pairs[0].toxic and b"villain" not in model.pairs[0].ordinary
+    right = (model.score([t for t, _ in rows[450:]]) >= 0.3) == np.array([y for _, y in rows[450:]], bool)
+    assert right.mean() > 0.95
+    swapped = toxicity.train([(t, 0) for t, _ in rows[:450]])  # deleting a class deletes the score
+    assert set(swapped.score(["villain", None])) == {0.0}
+
+
 def test_language_fusion(spark, odd, none):
     texts = {"en": "the words of this text are read here and there again", "fr": "les mots de ce texte sont lus ici et encore une fois"}
     pages = [(i, f"http://{'www.' * (i % 2)}h{i % 4}.example.{'fr' if i % 2 else 'com'}/p", f'<html lang="{lang}"><body><p>{texts[lang]} {i}</p><script>var x = "no";</script></body></html>', "x") for i, lang in enumerate(["en", "fr"] * 20)]
