@@ -3,42 +3,62 @@
 A vector is cut into segments; with segment means m and deviations s, and w components in
 a segment, the inner product of two vectors is at most the sum of w * (m m' + s s').
 Levels go from few wide to many narrow segments; a pair is dropped as soon as its bound is
-below the query's k-th score so far, and scores of what is left are computed exactly.
-The first k-th scores come from a bounded sample of candidates, which only sets a starting
-bound: every candidate is bounded or scored. A level that drops too little for its cost is skipped.
-
-Queries go in blocks of bounded size, each shipped to all tasks, against all candidates.
-
-Defined results: vectors that are null or hold null or non-finite components, or
-components of 2^19 and more, take no part, nor do rows with a null id; vectors of
-different lengths are not compared; rows with the query's id are its own. Fewer than k
-candidates give fewer rows; an empty table gives none. Repeated queries count once.
+below the query's k-th score so far, and scores of what is left are computed exactly. Coarse
+bounds say little about vectors without structure, so the levels go on to segments of one
+or two components, where few pairs are left. The first k-th scores come from a bounded
+sample of candidates, which only sets a starting bound: every candidate is bounded or scored.
+
+Queries are rows: executors draw their starting bounds and write them in blocks of bounded
+size to the shared folder. A task gathers candidates up to a bounded size and reads one block after
+the other, so neither the driver nor a task ever holds all queries or all candidates.
+
+Defined results: vectors that are null or hold null or non-finite components take no part,
+nor do rows with a null id; any finite component does, however large, and scores are exact
+integers (those beyond a long are ranked exactly and stated as its ends). Vectors of
+different lengths are not compared; rows with the query's id are its own; a query id with
+several vectors counts once, with the least vector. Ties go to the smaller id. Repeated
+candidates stay repeated. Fewer than k candidates give fewer rows; an empty table gives
+none. Other columns are not read.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as pafs
+import pyarrow.parquet as pq
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from pathmeet.scratch import staged
+from pathmeet.scratch import new_path, staged
 
 #: Segments of each level, coarse to fine.
-LEVELS = (2, 8)
-#: A level is worth it while it leaves at most this share of the pairs.
-WORTH = 0.3
+LEVELS = (8, 16, 32, 48)
+#: Share of the pairs below which they are followed one by one.
+SPARSE = 0.3
+#: Whole numbers below this are exact as doubles.
+EXACT = 2.0**53
+
 
+def usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
+    """(vec_id, x) of the vectors that take part; ``x`` as doubles."""
+    finite = F.forall(vector_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < F.lit(float("inf"))))
+    rows = vectors.where(F.col(id_col).isNotNull() & F.col(vector_col).isNotNull()).where(finite)
+    return rows.select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector_col, lambda x: x.cast("double")).alias("x"))
 
-def quantised(vectors: DataFrame, id_col: str, vector_col: str, scale: int) -> DataFrame:
-    """(vec_id, v): floor(scale * x) of the vectors that take part."""
-    usable = F.forall(vector_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float(1 << 19))))
-    rows = vectors.where(F.col(id_col).isNotNull() & F.col(vector_col).isNotNull()).where(usable)
-    return rows.select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector_col, lambda x: F.floor(x.cast("double") * scale).cast("long")).alias("v"))
+
+def whole(x: np.ndarray, scale: int) -> np.ndarray:
+    """floor(scale * x): doubles where all of it is exact in them, Python integers elsewhere."""
+    with np.errstate(over="ignore"):
+        v = np.floor(scale * x)
+    if not v.size or np.abs(v).max() < EXACT:
+        return v
+    wide = [[math.floor(scale * c) if abs(c) < EXACT else int(c) * scale for c in row] for row in x.tolist()]
+    return np.array(wide, dtype=object).reshape(x.shape)
 
 
 def statistics(v: np.ndarray, segments: int) -> np.ndarray:
@@ -51,7 +71,10 @@ def statistics(v: np.ndarray, segments: int) -> np.ndarray:
 
 def best(query: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int) -> np.ndarray:
     """Indexes of the k best of each query: higher score first, then smaller id."""
-    order = np.lexsort((ids, -score, query))
+    if score.dtype == object:
+        order = np.array(sorted(range(len(query)), key=lambda i: (query[i], -score[i], ids[i])), np.int64)
+    else:
+        order = np.lexsort((ids, -score, query))
     place = np.arange(len(order))
     first = np.flatnonzero(np.diff(query[order], prepend=-1))
     rank = place - np.repeat(first, np.diff(np.append(first, len(order))))
@@ -59,47 +82,62 @@ def best(query: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int) -> np.nd
 
 
 class Search:
-    """Running top-k of one block of queries over batches of candidates."""
+    """Running top-k of one block of queries over batches of candidates.
+
+    ``shares`` counts the pairs that came to each level and to the exact scores."""
 
-    def __init__(self, ids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray):
-        self.ids, self.q, self.k, self.floor = ids, queries, k, floor.copy()
-        self.exact = queries.astype(np.float64)
-        self.stats = [statistics(self.exact, s) for s in LEVELS]
-        self.slack = 1e-6 * (1 + np.abs(self.exact).sum(axis=1))
-        self.safe = float(np.abs(self.exact).max(initial=1))
-        self.found = (np.zeros(0, np.int64),) * 3
+    def __init__(self, ids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray | None = None):
+        self.ids, self.q, self.k = ids, queries, k
+        self.floor = np.full(len(ids), -np.inf) if floor is None else floor.copy()
+        self.wide = queries.dtype == object
+        self.stats = [] if self.wide else [statistics(queries, s) for s in LEVELS]
+        self.weight = np.zeros(len(ids)) if self.wide else np.abs(queries).sum(axis=1)
+        self.most = 0.0 if self.wide else float(np.abs(queries).max(initial=1))
+        self.found: tuple = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, object if self.wide else np.int64))
+        self.shares = np.zeros(len(LEVELS) + 1, np.int64)
 
     def add(self, ids: np.ndarray, v: np.ndarray) -> None:
-        c = v.astype(np.float64)
-        size = np.abs(c).max(axis=1, initial=1)
+        if not len(ids) or not len(self.ids):
+            return
+        if self.wide or v.dtype == object or self.most * float(np.abs(v).max(initial=1)) * max(1, v.shape[1]) >= EXACT:
+            return self._add_wide(ids, v)
+        limit = self.floor - 1e-9 * (1 + self.weight) * (1 + float(np.abs(v).max(initial=1)))
+        keep = np.ones((len(self.ids), len(ids)), bool)
         pairs = None
-        total = len(self.ids) * len(ids)
         for level, segments in enumerate(LEVELS):
-            theirs = statistics(c, segments)
-            limit = self.floor - self.slack * float(size.max(initial=1))
+            theirs = statistics(v, segments)
             if pairs is None:
-                keep = self.stats[level] @ theirs.T >= limit[:, None]
-                if keep.mean() <= WORTH:
+                self.shares[level] += keep.sum()
+                keep &= self.stats[level] @ theirs.T >= limit[:, None]
+                if keep.mean() <= SPARSE:
                     pairs = np.nonzero(keep)
             else:
                 i, j = pairs
-                keep = np.einsum("ij,ij->i", self.stats[level][i], theirs[j]) >= limit[i]
-                pairs = i[keep], j[keep]
-        if pairs is None:
-            if self.safe * float(size.max(initial=1)) * max(1, v.shape[1]) < 2.0**53:
-                score = (self.exact @ c.T).astype(np.int64)  # whole numbers below 2^53 are exact
-            else:
-                score = self.q @ v.T
-            i, j = np.nonzero(score >= self.floor[:, None])
-            score = score[i, j]
-        else:
-            i, j = pairs
-            score = np.einsum("ij,ij->i", self.q[i], v[j])
-            keep = score >= self.floor[i]
-            i, j, score = i[keep], j[keep], score[keep]
+                self.shares[level] += len(i)
+                near = np.einsum("ij,ij->i", self.stats[level][i], theirs[j]) >= limit[i]
+                pairs = i[near], j[near]
+        i, j = np.nonzero(keep) if pairs is None else pairs
+        self.shares[-1] += len(i)
+        score = np.einsum("ij,ij->i", self.q[i], v[j])  # whole numbers below 2^53 are exact
+        near = score >= self.floor[i]
+        self._take(i[near], ids, j[near], score[near].astype(np.int64))
+
+    def _add_wide(self, ids: np.ndarray, v: np.ndarray) -> None:
+        as_integers = lambda m: m if m.dtype == object else np.array([[int(c) for c in row] for row in m.tolist()], dtype=object).reshape(m.shape)
+        q, c = as_integers(self.q), as_integers(v)
+        for i in range(len(q)):
+            score = np.array([sum(a * b for a, b in zip(q[i], row, strict=True)) for row in c], dtype=object)
+            least = float(self.floor[i])  # Python compares large integers with floats exactly
+            near = np.flatnonzero([s >= least for s in score.tolist()])
+            self._take(np.full(len(near), i), ids, near, score[near])
+
+    def _take(self, i: np.ndarray, ids: np.ndarray, j: np.ndarray, score: np.ndarray) -> None:
         other = self.ids[i] != ids[j]
-        self.found = tuple(np.concatenate(x) for x in zip(self.found, (i[other], ids[j][other], score[other]), strict=True))
-        if len(self.found[0]) > 8 * self.k * len(self.ids) or total == 0:
+        held = self.found[2]
+        if score.dtype == object and held.dtype != object:
+            held = held.astype(object)
+        self.found = (np.concatenate([self.found[0], i[other]]), np.concatenate([self.found[1], ids[j][other]]), np.concatenate([held, score[other]]))
+        if len(self.found[0]) > 8 * self.k * len(self.ids):
             self.reduce()
 
     def reduce(self) -> None:
@@ -107,72 +145,163 @@ class Search:
         self.found = tuple(x[top] for x in self.found)
         query, _, score = self.found
         full = np.bincount(query, minlength=len(self.ids)) >= self.k
-        least = np.full(len(self.ids), np.iinfo(np.int64).max)
-        np.minimum.at(least, query, score)
-        self.floor = np.where(full, np.maximum(self.floor, least), self.floor)
-
-
-def matrix(values: list[list[int]], width: int) -> np.ndarray:
-    return np.array(values, np.int64).reshape(len(values), width)
+        least: dict[int, int] = {}
+        for i, s in zip(query.tolist(), score.tolist(), strict=True):
+            least[i] = min(s, least.get(i, s))
+        for i in np.flatnonzero(full).tolist():
+            exact = least[i]
+            self.floor[i] = max(self.floor[i], exact if abs(exact) < EXACT else np.nextafter(_as_double(exact), -np.inf))
+
+
+def _as_double(value: int) -> float:
+    try:
+        return float(value)
+    except OverflowError:
+        return float(np.finfo(float).max) if value > 0 else -math.inf
+
+
+#: Ends of a long.
+LEAST, MOST = -(1 << 63), (1 << 63) - 1
+
+
+def beyond(score: int) -> bytes | None:
+    """A binary that sorts like the scores that a long cannot hold; null for the others."""
+    if LEAST < score < MOST:
+        return None
+    raw = abs(score).to_bytes((abs(score).bit_length() + 7) // 8, "big")
+    raw = len(raw).to_bytes(2, "big") + raw
+    return b"\x01" + raw if score > 0 else b"\x00" + bytes(255 - b for b in raw)
+
+
+def _rows(search: Search, kind: pa.Schema) -> pa.RecordBatch:
+    search.reduce()
+    query, vec, score = search.found
+    if score.dtype != object:
+        columns = [pa.array(search.ids[query], pa.int64()), pa.array(vec, pa.int64()), pa.array(score, pa.int64()), pa.nulls(len(vec), pa.binary())]
+    else:
+        exact = [int(s) for s in score.tolist()]
+        columns = [pa.array(search.ids[query], pa.int64()), pa.array(vec, pa.int64()), pa.array([min(MOST, max(LEAST, s)) for s in exact], pa.int64()), pa.array([beyond(s) for s in exact], pa.binary())]
+    return pa.RecordBatch.from_arrays(columns, schema=kind)
+
+
+def _matrices(batch: pa.RecordBatch, scale: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(ids, whole numbers) of the rows of a batch, by length of vector and apart where doubles are not exact."""
+    ids = batch.column(0).to_numpy(zero_copy_only=False)
+    lists = batch.column(1)
+    values = lists.flatten().to_numpy(zero_copy_only=False)
+    lengths = np.diff(lists.offsets.to_numpy())
+    starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+    for width in np.unique(lengths).tolist():
+        rows = np.flatnonzero(lengths == width)
+        x = values[(starts[rows][:, None] + np.arange(width)).ravel()].reshape(len(rows), width) if width else np.zeros((len(rows), 0))
+        large = (np.abs(x) >= 2.0**23 / scale).any(axis=1) if width else np.zeros(len(rows), bool)
+        for some in (~large, large):
+            if some.any():
+                yield ids[rows[some]], whole(x[some], scale)
 
 
 def top_k(
     spark: SparkSession, vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 5, every: int = 50,
-    scale: int = 256, block: int = 4096, sample: int = 2048, batch: int = 2048,
+    scale: int = 256, block: int = 4096, sample: int = 2048, batch: int = 2048, held_rows: int = 1 << 18,
 ) -> DataFrame:
     """(query_id, rank, vec_id, score) of the rows whose id is divisible by ``every``.
 
-    ``block`` bounds the queries shipped at once, ``sample`` the candidates of the starting bound."""
-    held = staged(quantised(vectors, id_col, vector_col, scale), "vectors")
-    queries = staged(held.where(F.col("vec_id") % every == 0).dropDuplicates(["vec_id"]).withColumn("width", F.size("v")), "queries")
-    seeds = held.orderBy(F.xxhash64("vec_id")).limit(sample).collect()
-    kind = "query_id long, vec_id long, score long"
-    results = []
-    for width in [r.width for r in queries.select("width").distinct().orderBy("width").limit(1000).collect()]:
-        seed = [r for r in seeds if len(r.v) == width]
-        seed_ids, seed_v = np.array([r.vec_id for r in seed], np.int64), matrix([r.v for r in seed], width)
-        last = -(1 << 63)
-        while rows := queries.where((F.col("width") == width) & (F.col("vec_id") > last)).orderBy("vec_id").limit(block).collect():
-            ids, q = np.array([r.vec_id for r in rows], np.int64), matrix([r.v for r in rows], width)
-            last = int(ids[-1])
-            start = Search(ids, q, k, np.full(len(ids), -(1 << 62), np.int64))
-            for at in range(0, len(seed), batch):
-                start.add(seed_ids[at : at + batch], seed_v[at : at + batch])
-            start.reduce()
-            results.append(_against_all(held, ids, q, k, start.floor, batch, kind))
-            if len(rows) < block:
-                break
-    if not results:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    found = results[0]
-    for more in results[1:]:
-        found = found.unionByName(more)
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))
+    ``block`` bounds the queries that are read at once, ``held_rows`` the candidates that a task holds,
+    ``sample`` the candidates of the starting bound."""
+    held = staged(usable(vectors, id_col, vector_col), "vectors")
+    seeds = held.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).toArrow()
+    seed_parts = [part for b in seeds.combine_chunks().to_batches() for part in _matrices(b, scale)]
+
+    mine = held.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("x").alias("x"))
+    folder = new_path(spark, "query-blocks")
+    listed = "file string, width int, queries int"
+
+    def bound(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Writes blocks of queries with their starting bounds."""
+        import uuid
+
+        fs, root = opened(folder)
+        fs.create_dir(root, recursive=True)
+        names, widths, counts = [], [], []
+        for some in batches:
+            for at in range(0, some.num_rows, block):
+                part = some.slice(at, block)
+                for width, rows in _by_width(part):
+                    floors = np.full(rows.num_rows, -np.inf)
+                    place = {i: n for n, i in enumerate(rows.column(0).to_pylist())}
+                    for ids, q in _matrices(rows, scale):
+                        start = Search(ids, q, k)
+                        for seed_ids, seed in seed_parts:
+                            if seed.shape[1] == width:
+                                start.add(seed_ids, seed)
+                        start.reduce()
+                        floors[[place[i] for i in ids.tolist()]] = start.floor
+                    name = f"{uuid.uuid4().hex}.parquet"
+                    with fs.open_output_stream(f"{root}/{name}", compression=None) as sink:
+                        pq.write_table(pa.Table.from_batches([rows]).append_column("floor", pa.array(floors, pa.float64())), sink)
+                    names.append(name)
+                    widths.append(width)
+                    counts.append(rows.num_rows)
+        yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(widths, pa.int32()), pa.array(counts, pa.int32())], names=["file", "width", "queries"])
+
+    blocks = staged(mine.mapInArrow(bound, listed), "query-list")
+    names_at = blocks._jdf.inputFiles()  # the names of the list's own files; its rows are read by executors
+    lists = [str(x) for x in names_at]
+    kind = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64()), ("beyond", pa.binary())])
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, root = opened(folder)
+
+        def blocks_of() -> Iterator[tuple[int, str]]:
+            for one in lists:
+                list_fs, path = opened(one)
+                with list_fs.open_input_file(path) as file:
+                    table = pq.read_table(file)
+                yield from zip(table.column("width").to_pylist(), table.column("file").to_pylist(), strict=True)
+
+        def against(candidates: list[tuple[np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+            widths = {v.shape[1] for _, v in candidates}
+            for width, name in blocks_of():
+                if width not in widths:
+                    continue
+                with fs.open_input_file(f"{root}/{name}") as file:
+                    table = pq.read_table(file).combine_chunks()
+                rows = table.to_batches()[0]
+                floors = dict(zip(rows.column(0).to_pylist(), rows.column(2).to_pylist(), strict=True))
+                for ids, q in _matrices(rows, scale):
+                    running = Search(ids, q, k, np.array([floors[i] for i in ids.tolist()]))
+                    for own, v in candidates:
+                        if v.shape[1] == width:
+                            for at in range(0, len(own), batch):
+                                running.add(own[at : at + batch], v[at : at + batch])
+                    yield _rows(running, kind)
+
+        waiting: list[tuple[np.ndarray, np.ndarray]] = []
+        count = 0
+        for some in batches:
+            for part in _matrices(some, scale):
+                waiting.append(part)
+                count += len(part[0])
+            if count >= held_rows:
+                yield from against(waiting)
+                waiting, count = [], 0
+        if waiting:
+            yield from against(waiting)
+
+    found = held.mapInArrow(search, "query_id long, vec_id long, score long, beyond binary")
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.col("score").desc(), F.col("beyond").desc(), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
 
 
-def _against_all(held: DataFrame, ids: np.ndarray, q: np.ndarray, k: int, floor: np.ndarray, rows: int, kind: str) -> DataFrame:
-    width = q.shape[1]
+def opened(uri: str):
+    """File system and path of a URI; local paths too."""
+    return pafs.FileSystem.from_uri(uri) if "://" in uri or uri.startswith("file:") else (pafs.LocalFileSystem(), uri)
 
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        running = Search(ids, q, k, floor)
-        for batch in batches:
-            for at in range(0, batch.num_rows, rows):
-                some = batch.slice(at, rows)
-                lists = some.column(1)
-                values = lists.flatten().to_numpy(zero_copy_only=False)
-                lengths = np.diff(lists.offsets.to_numpy())
-                own = some.column(0).to_numpy(zero_copy_only=False)
-                if (lengths == width).all():
-                    running.add(own, values.reshape(len(own), width))
-                else:
-                    right = lengths == width
-                    running.add(own[right], values[np.repeat(right, lengths)].reshape(int(right.sum()), width))
-        running.reduce()
-        query, vec, score = running.found
-        yield pa.RecordBatch.from_arrays([pa.array(ids[query]), pa.array(vec), pa.array(score)], names=["query_id", "vec_id", "score"])
-
-    return held.mapInArrow(search, kind)
+
+def _by_width(rows: pa.RecordBatch) -> Iterator[tuple[int, pa.RecordBatch]]:
+    lengths = np.diff(rows.column(1).offsets.to_numpy())
+    for width in np.unique(lengths).tolist():
+        yield width, rows.take(pa.array(np.flatnonzero(lengths == width)))
 
 
 def op10_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:

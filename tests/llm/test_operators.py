@@ -411,7 +411,7 @@ def test_vector_search(spark):
         if q % 50 == 0:
             held = [(-int(v @ c), i) for i, c in usable.items() if i != q and len(c) == len(v)]
             expected |= {(q, k + 1, i, -s) for k, (s, i) in enumerate(sorted(held)[:5])}
-    for options in ({}, {"block": 3, "sample": 7, "batch": 16}):
+    for options in ({}, {"block": 3, "sample": 7, "batch": 16, "held_rows": 30}):
         got = vector_search.top_k(spark, table, **options)
         assert {(r.query_id, r["rank"], r.vec_id, r.score) for r in got.collect()} == expected
     assert vector_search.top_k(spark, table.limit(0)).count() == 0
@@ -426,3 +426,34 @@ def test_segment_bounds_hold():
         assert (bound >= a @ b.T - 1e-9).all()
         tight = bound.mean() if tight is None else min(tight, bound.mean())
     assert tight <= (vector_search.statistics(a, 1) @ vector_search.statistics(b, 1).T).mean()
+
+
+def test_any_finite_component_takes_part(spark):
+    big = [1e6, 1.0], [2.0**19, -3.0], [1e300, 2.0], [-1e300, 5.0], [0.5, 0.25], [3e15, -3e15], [1e308, 1e308]
+    rows = [(50 * i, list(v)) for i, v in enumerate(big)] + [(50 * i + 1, [v[0], v[1] + 1]) for i, v in enumerate(big)]
+    rows += [(1000 + i, [float(x)] * n) for i, x in enumerate(np.linspace(-1, 1, 40)) for n in [1 + i % 13]]  # many lengths
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    exact = {i: [int(np.floor(256 * x)) if abs(x) < 1e15 else int(x) * 256 for x in v] for i, v in rows}
+    expected = set()
+    for q, v in exact.items():
+        if q % 50 == 0:
+            held = sorted((-sum(a * b for a, b in zip(v, c)), i) for i, c in exact.items() if i != q and len(c) == len(v))
+            expected |= {(q, n + 1, i, min(2**63 - 1, max(-(2**63), -s))) for n, (s, i) in enumerate(held[:5])}
+    for options in ({}, {"sample": 3, "block": 2}):
+        got = {(r.query_id, r["rank"], r.vec_id, r.score) for r in vector_search.top_k(spark, table, **options).collect()}
+        assert got == expected
+
+
+def test_levels_prune_the_given_vectors():
+    import pyarrow.parquet as pq
+
+    table = pq.read_table("/root/testdata/sf0.1/embeddings.parquet")
+    (ids, v), = vector_search._matrices(table.combine_chunks().to_batches()[0].select(["vec_id", "embedding"]), 256)
+    mine = ids % 50 == 0
+    search = vector_search.Search(ids[mine], v[mine], 5)
+    search.add(ids[:1000], v[:1000])
+    search.reduce()
+    search.shares[:] = 0
+    search.add(ids[1000:], v[1000:])
+    shares = search.shares / (mine.sum() * (len(ids) - 1000))
+    assert shares[0] == 1 and (np.diff(shares) <= 0).all() and shares[-1] < 0.2  # few pairs are scored exactly
