@@ -1,4 +1,4 @@
-"""From raw documents to packed training sequences, in six stages.
+"""From raw documents to packed training sequences, in five stages.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before it kept.
 All but the last return the columns of ``documents``; the last returns the pieces of the
@@ -12,7 +12,6 @@ from pathmeet.llm.exact_dedup import keep_first
 from pathmeet.llm.language_id import keep_identified
 from pathmeet.llm.packing import default_vocabulary, packed_pieces
 from pathmeet.llm.shingle_links import keep_dissimilar
-from pathmeet.llm.simhash_links import keep_one
 from pathmeet.llm.source_mixing import mixed_documents
 from pathmeet.scratch import staged
 
@@ -28,13 +27,11 @@ def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each component of linked fingerprints."""
-    return keep_one(spark, docs)
+    """Keeps one document of each component of five-word shingle sets with similarity 0.8 or more.
 
-
-def shingle_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each component of five-word shingle sets with similarity 0.8 or more."""
-    return keep_dissimilar(spark, docs)
+    Candidates are groups of SimHash fingerprints linked by vantage-point shards, and min-hash
+    bands for what lies beyond their radius; links count after an exact comparison."""
+    return keep_dissimilar(spark, docs, words=5, least=0.8)
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,7 +48,6 @@ STAGES = [
     ("language_id", language_id),
     ("exact_dedup", exact_dedup),
     ("simhash_near_dedup", simhash_near_dedup),
-    ("shingle_near_dedup", shingle_near_dedup),
     ("source_mixing", source_mixing),
     ("packing", packing),
 ]

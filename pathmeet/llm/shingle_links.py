@@ -1,17 +1,22 @@
 """Near duplicates by word shingles: all links of Jaccard similarity ``least`` or more, checked exactly.
 
-SimHash with a radius wide enough for similarity 0.8 (some 17 of 64 bits) prunes no
-vantage-point shard, since unrelated fingerprints lie about 32 bits apart; candidates come
-from min-hash bands instead. Two sets of similarity s share one of ``bands`` bands of
-``rows`` minima with probability ``1 - (1 - s ** rows) ** bands``: 0.99993 at s = 0.8.
-A link counts only after the similarity of the whole sets has been computed.
-
-Documents of one shingle set are one node. Buckets with the same members are searched
-once. A bucket returns a forest that connects what its links connect, never all pairs.
+The near-duplicate stage of the pipeline: SimHash fingerprints of five-word shingles are linked by
+vantage-point shards (``simhash_links``), and every group that they form is a candidate. A
+radius wide enough for similarity 0.8 (some 17 of 64 bits) prunes no vantage-point shard,
+since unrelated fingerprints lie about 32 bits apart, so further candidates come from
+min-hash bands. Two sets of similarity s share one of ``bands`` bands of ``rows`` minima with
+probability ``1 - (1 - s ** rows) ** bands``: 0.99993 at s = 0.8. A link counts only after
+the similarity of the whole sets has been computed.
+
+Documents of one shingle set are one node. Buckets with the same members are searched once,
+and a bucket returns a forest that connects what its links connect, never all pairs. A
+bucket of more than ``most`` members is dealt to blocks: each block is searched with the
+bucket's least member, and then only those pairs of blocks that still hold different components.
 
 Defined results: texts without words are one node without shingles; a text with fewer
 words than a shingle is one shingle; the component is the smallest id (nulls last) that
-links reach. Repeated rows stay repeated. A, B, ..., Z are read as lower case.
+links reach. Repeated rows stay repeated, and rows with one id are told apart by number. A, B,
+..., Z are read as lower case. Very long texts are read whole. Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -23,8 +28,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from pathmeet.components import component_labels
-from pathmeet.joins import bounded_join
-from pathmeet.llm.simhash_links import forest, least_of_components
+from pathmeet.joins import bounded_join, hot_join
+from pathmeet.llm.simhash_links import all_but_first, forest, near_duplicates
+from pathmeet.rows import numbered, without_rows
 from pathmeet.scratch import staged
 
 #: Shingles whose minima are taken at once.
@@ -131,8 +137,8 @@ def bucket_forest(sets: list[np.ndarray], least: float) -> np.ndarray:
     return label
 
 
-def similar_links(nodes: DataFrame, sets: DataFrame, least: float) -> DataFrame:
-    """Links (src, dst) between keys that share a bucket. ``nodes``: (band, value, key); ``sets``: (key, shingles)."""
+def searched(members: DataFrame, group: list[str], sets: DataFrame, least: float) -> DataFrame:
+    """Links (src, dst) between keys that share a group. ``members``: group and key; ``sets``: (key, shingles)."""
 
     def search(table: pa.Table) -> pa.Table:
         keys = table.column("key").to_pylist()
@@ -140,35 +146,66 @@ def similar_links(nodes: DataFrame, sets: DataFrame, least: float) -> DataFrame:
         apart = np.flatnonzero(label != np.arange(len(keys)))
         return pa.table({"src": pa.array([keys[i] for i in apart], pa.string()), "dst": pa.array([keys[i] for i in label[apart]], pa.string())})
 
-    return nodes.join(sets, "key").select("band", "value", "key", "shingles").groupBy("band", "value").applyInArrow(search, "src string, dst string")
+    return members.join(sets, "key").select(*group, "key", "shingles").groupBy(*group).applyInArrow(search, "src string, dst string")
+
+
+def similar_links(nodes: DataFrame, sets: DataFrame, least: float, most: int = 2048) -> DataFrame:
+    """Links (src, dst) that connect what similar keys of one bucket connect.
+
+    ``nodes`` (written): (band, value, key, n, first), with the number of keys and the least key of the bucket."""
+    block = F.pmod(F.xxhash64("key"), F.ceil(F.col("n") / most))
+    dealt = nodes.withColumn("blocks", F.ceil(F.col("n") / most)).withColumn("block", block)
+    guests = dealt.where("key = first and blocks > 1").withColumn("other", F.explode(F.expr("sequence(0L, blocks - 1)"))).where("other <> block")
+    alone = dealt.select("band", "value", "block", "key").unionByName(guests.select("band", "value", F.col("other").alias("block"), "key"))
+    links = staged(searched(alone, ["band", "value", "block"], sets, least), "shingle-links")
+    large = dealt.where("blocks > 1")
+    if large.isEmpty():
+        return links
+    labels = component_labels(links).withColumnRenamed("id", "key")
+    named = large.join(labels, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
+    pairs = named.withColumn("other", F.explode(F.expr("sequence(0L, blocks - 1)"))).where("other <> block")
+    pairs = pairs.select("band", "value", F.least("block", "other").alias("a"), F.greatest("block", "other").alias("b"), "key", "comp")
+    group = ["band", "value", "a", "b"]
+    open_ = staged(pairs.groupBy(*group).agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select(*group), "shingle-open")
+    members = bounded_join(pairs, open_, group, "left_semi").select(*group, "key")
+    return links.unionByName(searched(members, group, sets, least))
 
 
 def similar_documents(
-    spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8, bands: int = 24, rows: int = 5
-) -> DataFrame:
-    """One row per document: id, component_id."""
-    sketch = docs.select(F.col(id_col).alias("id"), sketched(F.col(text_col), words, bands, rows).alias("s"))
-    read = staged(sketch.select("id", "s.key", "s.bands"), "shingle-sketches")
-    distinct = staged(read.groupBy("key").agg(F.min("id").alias("least"), F.any_value("bands").alias("bands")), "shingle-distinct")
-    banded = distinct.select("key", F.posexplode("bands").alias("band", "value"))
-    members = [F.bit_xor(F.xxhash64("key")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "key")).alias("y"), F.min("key").alias("k"), F.count("*").alias("n")]
+    spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8, bands: int = 24, rows: int = 5,
+    radius: int = 2, row_col: str | None = None, most: int = 2048,
+) -> DataFrame:
+    """One row per document: id, row, component_id, root (the digest that names the component)."""
+    if row_col is None:
+        docs, row_col = numbered(docs, "shingle-docs")
+    slim = docs.select(F.col(id_col).alias("id"), F.col(row_col).alias("row"), F.col(text_col).alias("text"))
+    read = staged(slim.select("id", "row", sketched(F.col("text"), words, bands, rows).alias("s")).select("id", "row", "s.key", "s.bands"), "shingle-sketches")
+    distinct = staged(read.groupBy("key").agg(F.min("id").alias("least"), F.min("row").alias("row"), F.any_value("bands").alias("bands"), F.count("*").alias("size")), "shingle-distinct")
+    linked = near_duplicates(spark, slim, "id", "text", words=words, radius=radius, row_col="row").select("row", "root")
+    by_print = read.select("row", "key").join(linked, "row").select("key", F.lit(-1).alias("band"), F.col("root").alias("value")).distinct()
+    # texts without words are one node already, and have no bands
+    banded = distinct.select("key", F.posexplode("bands").alias("band", "value")).unionByName(by_print)
+    banded = staged(banded, "shingle-banded")
+    members = [F.bit_xor(F.xxhash64("key")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "key")).alias("y"), F.min("key").alias("first"), F.count("*").alias("n")]
     shared = banded.groupBy("band", "value").agg(*members).where("n > 1")
-    buckets = staged(shared.groupBy("x", "y", "k", "n").agg(F.min(F.struct("band", "value")).alias("b")).select("b.band", "b.value"), "shingle-buckets")
+    buckets = staged(shared.groupBy("x", "y", "first", "n").agg(F.min(F.struct("band", "value")).alias("b")).select("b.band", "b.value", "n", "first"), "shingle-buckets")
     nodes = staged(bounded_join(banded, buckets, ["band", "value"]), "shingle-members")
-    wanted = staged(nodes.select("key").distinct(), "shingle-wanted")
-    # one document of each set is read again; a set whose ids are all null is read from every row without an id
-    ids = staged(bounded_join(distinct.select("key", "least"), wanted, "key", "left_semi").select(F.col("least").alias("_id")).distinct(), "shingle-ids")
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(ids, F.col("id").eqNullSafe(F.col("_id")), "left_semi")
-    again = staged(texts.select(with_sets(F.col("text"), words).alias("s")).select("s.key", "s.shingles"), "shingle-sets")
-    sets = again.groupBy("key").agg(F.any_value("shingles").alias("shingles"))
-    links = staged(similar_links(nodes, sets, least), "shingle-links")
-    linked = component_labels(links).withColumnRenamed("id", "key").join(distinct.select("key", "least"), "key")
-    groups = linked.groupBy("comp").agg(F.min("least").alias("component"))
-    home = staged(linked.select("key", "comp").join(groups, "comp").select("key", "component"), "shingle-components")
-    single = bounded_join(distinct.select("key", "least"), home, "key", "left").select("key", F.coalesce("component", "least").alias("component_id"))
-    return read.select("id", "key").join(single, "key").select(F.col("id").alias(id_col), "component_id")
-
-
-def keep_dissimilar(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The document with the smallest id of each component, with all its columns; once if its row is repeated."""
-    return least_of_components(docs, similar_documents(spark, docs, id_col, **options), id_col)
+    wanted = staged(bounded_join(distinct.select("key", "row"), nodes.select("key").distinct(), "key", "left_semi").select("row"), "shingle-wanted")
+    # one document of each set is read again
+    texts = bounded_join(slim.select("row", "text"), wanted, "row", "left_semi")
+    sets = staged(texts.select(with_sets(F.col("text"), words).alias("s")).select("s.key", "s.shingles"), "shingle-sets")
+    links = staged(similar_links(nodes, sets, least, most), "shingle-all-links")
+    labelled = component_labels(links).withColumnRenamed("id", "key").join(distinct.select("key", "least"), "key")
+    groups = labelled.groupBy("comp").agg(F.min("least").alias("component"))
+    home = labelled.select("key", "comp").join(groups, "comp").select("key", F.col("comp").alias("root"), "component")
+    known = distinct.select("key", "least", "size").join(home, "key", "left").where("size > 1 or root is not null")
+    single = staged(known.select("key", "size", F.coalesce("root", "key").alias("root"), F.when(F.col("root").isNull(), F.col("least")).otherwise(F.col("component")).alias("component"), F.lit(True).alias("known")), "shingle-components")
+    out = hot_join(read.select("id", "row", "key"), single, ["key"], "size", read.count())
+    return out.select(F.col("id").alias(id_col), "row", F.when(F.col("known"), F.col("component")).otherwise(F.col("id")).alias("component_id"), F.coalesce("root", "key").alias("root"))
+
+
+def keep_dissimilar(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The document with the smallest id of each component, with all its columns."""
+    held, row = numbered(docs, "near-docs")
+    found = staged(similar_documents(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root"), "near-found")
+    return without_rows(held, staged(all_but_first(found, "root", "id").withColumnRenamed("row", row), "near-gone"), row)

@@ -1,16 +1,20 @@
 """SimHash fingerprints of word shingles and all links within a Hamming radius.
 
-Distinct fingerprints are partitioned by a vantage-point tree fitted on a bounded sample:
-a node sends a fingerprint left if it is within the median distance of its vantage point.
-Each fingerprint is at home in one shard and visits every shard that the triangle
-inequality allows to hold one within the radius, so every link is found in a home shard.
-Inside a shard two more vantage points order the members, and only bins whose distances
-differ by at most the radius are compared. A shard returns a spanning forest of its
-links, never all pairs; components follow from the forests.
+Distinct fingerprints are partitioned by vantage-point trees fitted on samples: a node
+sends a fingerprint left if it is within the median distance of its vantage point. Each
+fingerprint is at home in one shard and visits every shard that the triangle inequality
+allows to hold one within the radius, so every link is found in a home shard. Shards are
+counted after routing, and those that came out too large get a tree of their own, round
+by round; where a tree no longer divides a shard, its home rows are dealt to tasks. Inside a
+shard two more vantage points order the members, and only bins whose distances differ by
+at most the radius are compared. A shard returns a spanning forest of its links, never all
+pairs; components follow from the forests.
 
 Defined results: null, empty and blank texts have fingerprint zero; a text with fewer
-words than a shingle is one shingle; copies share a fingerprint and so one component; the
-component is the smallest id (nulls last) that links reach. Repeated rows stay repeated.
+words than a shingle is one shingle; very long texts are read whole, in blocks; copies share
+a fingerprint and so one component; the component is the smallest id (nulls last) that
+links reach. Repeated rows stay repeated, and rows with one id are told apart by number. Empty
+tables give empty results. Other columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,7 +29,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from pathmeet.components import component_labels
-from pathmeet.joins import bounded_join
+from pathmeet.joins import hot_join
+from pathmeet.rows import numbered, without_rows
 from pathmeet.scratch import staged
 
 #: Shingles whose bits are summed at once.
@@ -78,7 +83,7 @@ def fit_tree(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
     held = {0: sample}
     for i in range(len(nodes)):
         own = held.pop(i, sample[:0])
-        base = own if len(own) else sample
+        base = own if len(own) else sample if len(sample) else np.zeros(1, np.uint64)
         best = max(base[:: max(1, len(base) // 16)][:16], key=lambda v: float(distances(base, v).std()))
         d = distances(base, best)
         middle = int(np.median(d))
@@ -89,21 +94,21 @@ def fit_tree(sample: np.ndarray, depth: int) -> list[tuple[int, int]]:
     return nodes
 
 
-def route(points: np.ndarray, nodes: list[tuple[int, int]], depth: int, radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(shard, indexes, at home) of the points in every shard that they must reach."""
-    stack = [(0, np.arange(len(points)), np.ones(len(points), bool))]
+def route(points: np.ndarray, home: np.ndarray, nodes: list[tuple[int, int]], radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(leaf, indexes, at home) of the points in every leaf that they must reach."""
+    stack = [(0, np.arange(len(points)), home)]
     while stack:
-        node, who, home = stack.pop()
+        node, who, own = stack.pop()
         if not len(who):
             continue
         if node >= len(nodes):
-            yield node - len(nodes), who, home
+            yield node - len(nodes), who, own
             continue
         vantage, middle = nodes[node]
         d = distances(points[who], vantage).astype(np.int16)
         left, right = d <= middle + radius, d > middle - radius
-        stack.append((2 * node + 1, who[left], (home & (d <= middle))[left]))
-        stack.append((2 * node + 2, who[right], (home & (d > middle))[right]))
+        stack.append((2 * node + 1, who[left], (own & (d <= middle))[left]))
+        stack.append((2 * node + 2, who[right], (own & (d > middle))[right]))
 
 
 def forest(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -154,23 +159,79 @@ def shard_forest(points: np.ndarray, home: np.ndarray, radius: int, most_pairs:
     return points[apart], points[label[apart]]
 
 
-def hamming_links(spark: SparkSession, prints: DataFrame, radius: int = 2, sample: int = 4096, leaf: int | None = None) -> DataFrame:
-    """Links (src, dst) between distinct fingerprints ``fp``; they connect exactly what links within ``radius`` connect.
+SHARDS = "shard long, fp long, home boolean"
 
-    ``sample`` bounds the fingerprints that the tree is fitted on; all of them are indexed and searched."""
-    rows = prints.count()
-    leaf = leaf or max(4096, int(16 * math.sqrt(rows)))
-    depth = min(12, max(0, math.ceil(math.log2(max(1, rows / leaf)))))
-    fitted = np.array([r.fp for r in prints.orderBy(F.xxhash64("fp")).limit(sample).collect()], np.int64).view(np.uint64)
-    nodes = fit_tree(fitted, depth) if len(fitted) else []
 
+def shards(prints: DataFrame, radius: int, leaf: int, sample: int) -> DataFrame:
+    """(shard, fp, home): the fingerprints in every shard that they must reach, shards of about ``leaf`` rows."""
+    rows = prints.count()
+    open_ = prints.select(F.lit(0).cast("long").alias("shard"), "fp", F.lit(True).alias("home"))
+    large, done, free = {0: rows} if rows > leaf else {}, [], 1
+    while large:
+        total = sum(large.values())
+        wanted = min(sample, 32 * (total // leaf + 1) + 4096)  # grows with the leaves
+        some = open_.where(F.pmod(F.xxhash64("fp", F.lit(free)), F.lit(1 << 30)) < int((1 << 30) * min(1.0, wanted / total)))
+        drawn: dict[int, list[int]] = {}
+        for r in some.select("shard", "fp").collect():
+            drawn.setdefault(r.shard, []).append(r.fp)
+        trees = {}
+        for shard, n in sorted(large.items()):
+            depth = min(12, max(1, math.ceil(math.log2(n / leaf))))
+            trees[shard] = free, fit_tree(np.array(sorted(drawn.get(shard, [])), np.int64).view(np.uint64), depth)
+            free += 1 << depth
+        routed = staged(_routed(open_, trees, radius), "simhash-routed")
+        sizes = {r.shard: r.n for r in routed.groupBy("shard").agg(F.count("*").alias("n")).collect()}
+        parent = {base + i: shard for shard, (base, nodes) in trees.items() for i in range(len(nodes) + 1)}
+        over = {shard: n for shard, n in sizes.items() if n > 4 * leaf}
+        stuck = {shard: n for shard, n in over.items() if n > 0.8 * large[parent[shard]]}
+        large = {shard: n for shard, n in over.items() if shard not in stuck}
+        settled = routed.where(~F.col("shard").isin(*over)) if over else routed
+        done.append(settled)
+        if stuck:
+            tight, free = _dealt(routed.where(F.col("shard").isin(*stuck)), stuck, leaf, free)
+            done.append(tight)
+        open_ = routed.where(F.col("shard").isin(*large)) if large else None
+    out = done[0] if done else open_
+    for more in done[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _routed(rows: DataFrame, trees: dict, radius: int) -> DataFrame:
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            points = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-            for shard, who, home in route(points, nodes, depth, radius):
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(who), shard, np.int32)), pa.array(points[who].view(np.int64)), pa.array(home)], names=["shard", "fp", "home"]
-                )
+            shard = batch.column(0).to_numpy(zero_copy_only=False)
+            points = batch.column(1).to_numpy(zero_copy_only=False).view(np.uint64)
+            home = batch.column(2).to_numpy(zero_copy_only=False)
+            for one in np.unique(shard).tolist():
+                inside = np.flatnonzero(shard == one)
+                base, nodes = trees[one]
+                for leaf, who, own in route(points[inside], home[inside], nodes, radius):
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(np.full(len(who), base + leaf, np.int64)), pa.array(points[inside][who].view(np.int64)), pa.array(own)], names=["shard", "fp", "home"]
+                    )
+
+    return rows.mapInArrow(send, SHARDS)
+
+
+def _dealt(rows: DataFrame, stuck: dict[int, int], leaf: int, free: int) -> tuple[DataFrame, int]:
+    """Shards that no tree divides: home rows are dealt to parts, and every part sees all members."""
+    listed = []
+    for shard, n in sorted(stuck.items()):
+        parts = -(-n // leaf)
+        listed.append((shard, free, parts))
+        free += parts
+    deal = F.broadcast(rows.sparkSession.createDataFrame(listed, "shard long, base long, parts long"))
+    dealt = rows.join(deal, "shard").withColumn("part", F.explode(F.expr("sequence(0L, parts - 1)")))
+    own = F.col("home") & (F.pmod(F.xxhash64("fp"), F.col("parts")) == F.col("part"))
+    return dealt.select((F.col("base") + F.col("part")).alias("shard"), "fp", own.alias("home")), free
+
+
+def hamming_links(spark: SparkSession, prints: DataFrame, radius: int = 2, sample: int = 1 << 18, leaf: int | None = None) -> DataFrame:
+    """Links (src, dst) between distinct fingerprints ``fp``; they connect exactly what links within ``radius`` connect.
+
+    ``sample`` bounds the fingerprints that trees are fitted on; all of them are indexed and searched."""
+    leaf = leaf or max(4096, int(16 * math.sqrt(prints.count())))
 
     def search(table: pa.Table) -> pa.Table:
         points = table.column("fp").to_numpy().view(np.uint64)
@@ -178,41 +239,43 @@ def hamming_links(spark: SparkSession, prints: DataFrame, radius: int = 2, sampl
         a, b = shard_forest(points, home, radius) if home.any() else (points[:0], points[:0])
         return pa.table({"src": pa.array(a.view(np.int64)), "dst": pa.array(b.view(np.int64))})
 
-    routed = prints.select("fp").mapInArrow(send, "shard int, fp long, home boolean")
-    return routed.groupBy("shard").applyInArrow(search, "src long, dst long")
+    return shards(prints, radius, leaf, sample).groupBy("shard").applyInArrow(search, "src long, dst long")
 
 
-def near_duplicates(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, radius: int = 2, seed: int = 42) -> DataFrame:
-    """One row per document: id, fp (long), fingerprint (hex), component_id."""
-    printed = staged(docs.select(F.col(id_col).alias("id"), fingerprints(F.col(text_col), words, seed).alias("fp")), "simhash-prints")
-    distinct = staged(printed.groupBy("fp").agg(F.min("id").alias("least")), "simhash-distinct")
+def near_duplicates(
+    spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, radius: int = 2, seed: int = 42, row_col: str | None = None
+) -> DataFrame:
+    """One row per document: id, row, fp (long), fingerprint (hex), component_id, root (a fingerprint that names the component)."""
+    row = F.monotonically_increasing_id() if row_col is None else F.col(row_col)
+    printed = staged(docs.select(F.col(id_col).alias("id"), row.alias("row"), fingerprints(F.col(text_col), words, seed).alias("fp")), "simhash-prints")
+    distinct = staged(printed.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("size")), "simhash-distinct")
     links = staged(hamming_links(spark, distinct, radius), "simhash-links")
     labels = component_labels(links)
     linked = labels.withColumnRenamed("id", "fp").join(distinct, "fp")
     least = linked.groupBy("comp").agg(F.min("least").alias("component"))
-    groups = linked.select("fp", "comp").join(least, "comp").select("fp", "component")
-    home = staged(distinct.join(groups, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id")), "simhash-components")
-    out = bounded_join(printed, home, "fp", limit=100_000)
-    return out.select(F.col("id").alias(id_col), "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
-
-
-def keep_one(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The document with the smallest id of each component, with all its columns; once if its row is repeated."""
-    return least_of_components(docs, near_duplicates(spark, docs, id_col, **options), id_col)
-
-
-def least_of_components(docs: DataFrame, components: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The rows of ``docs`` that stay by ``components``, (id, component_id) of every row."""
-    from pathmeet.llm.exact_dedup import without
-
-    found = staged(components.select(id_col, "component_id"), "simhash-found")
-    gone = staged(found.where(~F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_col).distinct(), "simhash-gone")
-    left = without(docs, gone, id_col)
-    many = staged(found.groupBy(id_col).agg(F.count("*").alias("n")).where("n > 1").select(id_col), "simhash-many")
-    if many.isEmpty():
-        return left
-    again = left.join(many.select(F.col(id_col).alias("_m")), F.col(id_col).eqNullSafe(F.col("_m")), "left_semi")
-    return without(left, many, id_col).unionByName(again.dropDuplicates([id_col]))
+    groups = linked.select("fp", "comp").join(least, "comp").select("fp", F.col("comp").alias("root"), "component")
+    # prints that neither repeat nor have a link are their own component and need no join
+    known = distinct.join(groups, "fp", "left").where("size > 1 or root is not null")
+    home = staged(known.select("fp", "size", F.coalesce("root", "fp").alias("root"), F.when(F.col("root").isNull(), F.col("least")).otherwise(F.col("component")).alias("component"), F.lit(True).alias("known")), "simhash-components")
+    out = hot_join(printed, home, ["fp"], "size", printed.count())
+    return out.select(
+        F.col("id").alias(id_col), "row", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"),
+        F.when(F.col("known"), F.col("component")).otherwise(F.col("id")).alias("component_id"), F.coalesce("root", "fp").alias("root"),
+    )
+
+
+def all_but_first(found: DataFrame, group: str, id_col: str) -> DataFrame:
+    """(row) of every row of ``found`` (written; id, row, group) but the one of its group with the smallest id (nulls last), then number."""
+    order = F.struct(F.col(id_col).isNull().alias("z"), F.col(id_col).alias("i"), F.col("row").alias("r"))
+    first = staged(found.groupBy(group).agg(F.count("*").alias("size"), F.min(order).alias("first")).where("size > 1"), "groups-first")
+    return hot_join(found.select(group, "row"), first, [group], "size", found.count()).where("first.r <> row").select("row")
+
+
+def keep_one(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The document with the smallest id of each component of linked fingerprints, with all its columns."""
+    held, row = numbered(docs, "simhash-docs")
+    found = staged(near_duplicates(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root"), "simhash-found")
+    return without_rows(held, staged(all_but_first(found, "root", "id").withColumnRenamed("row", row), "simhash-gone"), row)
 
 
 def op4_simhash_links(spark: SparkSession, sf_dir: str) -> DataFrame:

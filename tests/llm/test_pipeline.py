@@ -4,12 +4,13 @@ from collections import Counter
 
 import pytest
 
-from pathmeet.llm import exact_dedup, simhash_links
+from pathmeet.llm import exact_dedup, shingle_links
 
 corpus_pipeline = pytest.importorskip("corpus_pipeline")
 
 
 def test_stages_keep_columns_and_take_effect(spark, sf):
+    assert [name for name, _ in corpus_pipeline.STAGES] == ["language_id", "exact_dedup", "simhash_near_dedup", "source_mixing", "packing"]
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     now, sizes = docs, [docs.count()]
     for name, stage in corpus_pipeline.STAGES[:-1]:
@@ -19,7 +20,7 @@ def test_stages_keep_columns_and_take_effect(spark, sf):
             kept = {r.doc_id for r in exact_dedup.exact_duplicates(spark, now).collect() if r.kept}
             assert Counter(r.doc_id for r in out.select("doc_id").collect()) == Counter(kept)
         if name == "simhash_near_dedup":
-            assert {r.doc_id for r in out.collect()} == {r.component_id for r in simhash_links.near_duplicates(spark, now).collect()}
+            assert {r.doc_id for r in out.collect()} == {r.component_id for r in shingle_links.similar_documents(spark, now).collect()}
         now = out
         sizes.append(now.count())
     assert sizes[1] >= 0.98 * sizes[0]  # clean documents stay

@@ -51,6 +51,15 @@ def test_similar_documents_equal_all_pairs(spark, rows):
     assert got == brute_components(rows)
 
 
+def test_large_buckets_are_dealt_to_blocks(spark):
+    rng = random.Random(8)
+    words = [f"w{i}" for i in range(200)]
+    rows = [(i, " ".join([*words[:190], *(f"x{rng.randrange(10**6)}" for _ in range(rng.choice([4, 10, 24])))])) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in shingle_links.similar_documents(spark, docs, most=4).collect()}
+    assert got == brute_components(rows)
+
+
 def test_rows_without_and_with_repeated_ids(spark):
     same = " ".join(f"w{i}" for i in range(50))
     docs = spark.createDataFrame([(None, same), (7, same + " end"), (7, "other words altogether here now"), (8, same), (None, "last one")], "doc_id long, text string")
