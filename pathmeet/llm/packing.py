@@ -2,22 +2,25 @@
 
 Pass one turns each document into token ids once, with its offset inside its task's
 partition, and writes them with the partition number. Prefix sums over the partition
-totals give every document its global offset; pass two cuts at multiples of the window.
-Windows inside one task's rows are emitted whole; what a task holds of a window that goes
-on elsewhere is a boundary record, and boundary records of one window are stitched.
+totals give every document its global offset; pass two cuts at multiples of the window and
+writes the windows: token ids and the list of pieces that they are made of. Windows inside
+one task's rows are written whole; what a task holds of a window that goes on elsewhere is a
+boundary record, and boundary records of one window are stitched. Rows per piece are read
+off the windows.
 
 Only the last window can be short, so padding is less than one window in all; it is
 filled to the window size unless its length is a power of two.
 
 Defined results: null and empty texts are the end token alone; repeated rows are packed
-as often as they occur; ids may be null. Empty tables give no pieces.
+as often as they occur; ids may be null. Very long texts, and runs of white space of any
+length, are encoded whole. The text of a special token counts as that token, which is how
+``tokenizers`` reads it. Empty tables give no windows and no pieces. Other columns are not read.
 """
 
 from __future__ import annotations
 
 import sys
 import types
-import zlib
 from array import array
 from collections.abc import Iterator
 
@@ -56,8 +59,9 @@ def byte_alphabet() -> dict[str, int]:
 def fast_model(vocabulary: str):
     """An encoder of the tokenizers file whose merges run in ``tiktoken``, about five times as fast.
 
-    The ids are those of ``tokenizers``: ranks are the ids in the file, which number tokens
-    in the order of the merges; this is checked on the file."""
+    The ids of ordinary text are those of ``tokenizers``: ranks are the ids in the file, which number tokens
+    in the order of the merges; this is checked on the file. Texts with the strings of special tokens, and with runs of
+    white space at which the split pattern would recurse too deeply, go to ``tokenizers`` (``encoder``)."""
     import json
 
     import tiktoken
@@ -80,12 +84,28 @@ def raw_ids(ids: list[int]) -> bytes:
     return held.tobytes()
 
 
+#: White space characters in a row from which on ``tokenizers`` encodes the text.
+LONG_RUN = 4096
+
+
 def encoder(vocabulary: str):
-    """text -> little-endian unsigned 32-bit ids, as ``Tokenizer.encode`` gives without special tokens."""
+    """text -> little-endian unsigned 32-bit ids, as ``Tokenizer.encode(text, add_special_tokens=False)`` gives."""
+    import re
+
     tables = _held_by_process().__dict__
     if vocabulary not in tables:
-        model = fast_model(vocabulary)
-        tables[vocabulary] = lambda text: raw_ids(model.encode_ordinary(text))
+        from tokenizers import Tokenizer
+
+        plain, exact = fast_model(vocabulary), Tokenizer.from_file(vocabulary)
+        special = [t.content for t in exact.get_added_tokens_decoder().values()]
+        run = re.compile(rf"\s{{{LONG_RUN}}}")
+
+        def encode(text: str) -> bytes:
+            if any(x in text for x in special) or run.search(text):
+                return raw_ids(exact.encode(text, add_special_tokens=False).ids)
+            return raw_ids(plain.encode_ordinary(text))
+
+        tables[vocabulary] = encode
     return tables[vocabulary]
 
 
@@ -126,89 +146,106 @@ def with_offsets(tokens: DataFrame) -> DataFrame:
     return bounded_join(tokens, ahead, "part").withColumn("at", F.col("start") + F.col("ahead"))
 
 
-def pieces(placed: DataFrame, id_col: str = "doc_id", window: int = WINDOW) -> DataFrame:
-    """Pass two: one row per piece of a document in a window."""
-    kind = placed.schema[id_col].dataType.simpleString()
-    names = [id_col, "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
-
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows, start, length, crc, total, sequence, offset = ([] for _ in range(7))
-            at, n, ids = (batch.column(c).to_pylist() for c in (1, 2, 3))
-            for i in range(batch.num_rows):
-                view, done = memoryview(ids[i]), 0
-                while done < n[i]:
-                    place = at[i] + done
-                    take = min(n[i] - done, window - place % window)
-                    rows.append(i)
-                    start.append(done)
-                    length.append(take)
-                    crc.append(zlib.crc32(view[4 * done : 4 * (done + take)]))
-                    total.append(n[i])
-                    sequence.append(place // window)
-                    offset.append(place % window)
-                    done += take
-            columns = [pa.array(x, pa.int64()) for x in (start, length, crc, total, sequence, offset)]
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), *columns], names=names)
-
-    return placed.select(id_col, "at", "n", "ids").mapInArrow(cut, f"{id_col} {kind}, " + ", ".join(f"{x} long" for x in names[1:]))
-
+def windows(placed: DataFrame, id_col: str = "doc_id", window: int = WINDOW, pad_id: int = 0, most_open: int = 64) -> DataFrame:
+    """The packed windows: (sequence_id, tokens, ids, docs, starts, lengths, totals, offsets).
 
-def sequences(placed: DataFrame, window: int = WINDOW, pad_id: int = 0, most_open: int = 64) -> DataFrame:
-    """The packed windows: (sequence_id, tokens, ids), ids padded to the window size.
-
-    ``tokens`` counts ids before padding; a short window whose length is a power of two stays short."""
+    ``ids`` are little-endian unsigned 32-bit token ids, padded to the window size (a short window whose length is
+    a power of two stays short); ``tokens`` counts those before padding. The lists describe the pieces: document,
+    its ids before the piece, ids in the piece, ids of the whole document, place in the window."""
     total = placed.agg(F.coalesce(F.max(F.col("at") + F.col("n")), F.lit(0))).first()[0]
     last, rest = divmod(total, window)
+    id_kind = placed.schema[id_col].dataType.simpleString()
+    lists = ["docs", "starts", "lengths", "totals", "offsets"]
+    names = ["sequence_id", "tokens", "ids", *lists]
+    kind = f"sequence_id long, tokens long, ids binary, docs array<{id_kind}>, " + ", ".join(f"{x} array<bigint>" for x in lists[1:])
 
     def size_of(sequence: int) -> int:
         return rest if sequence == last else window
 
+    def record(sequence: int, parts: list[tuple]) -> tuple:
+        """(sequence, tokens, ids, lists) of pieces (offset, ids, doc, start, total), in order; padded if whole."""
+        parts = sorted(parts, key=lambda p: p[0])
+        ids = b"".join(p[1] for p in parts)
+        n = len(ids) // 4
+        if n == size_of(sequence) and n & (n - 1):
+            ids += int(pad_id).to_bytes(4, "little") * (window - n)
+        return sequence, n, ids, [p[2] for p in parts], [p[3] for p in parts], [len(p[1]) // 4 for p in parts], [p[4] for p in parts], [p[0] for p in parts]
+
+    def batch_of(records: list[tuple], id_type: pa.DataType) -> pa.RecordBatch:
+        types = [pa.int64(), pa.int64(), pa.binary(), pa.list_(id_type), *[pa.list_(pa.int64())] * 4]
+        columns = list(zip(*records, strict=True)) or [()] * len(types)
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=names)
+
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_windows: dict[int, list] = {}
+        held: dict[int, int] = {}
         out: list[tuple] = []
-
-        def batch_of():
-            columns = list(zip(*out, strict=True)) or [(), (), ()]
-            out.clear()
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["sequence_id", "offset", "ids"])
-
         for batch in batches:
-            for at, n, ids in zip(*(batch.column(c).to_pylist() for c in range(3)), strict=True):
-                done = 0
+            id_type = batch.column(0).type
+            for doc, at, n, ids in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
+                done, view = 0, memoryview(ids)
                 while done < n:
                     sequence, offset = divmod(at + done, window)
                     take = min(n - done, window - offset)
-                    held = open_windows.setdefault(sequence, [])
-                    held.append((offset, ids[4 * done : 4 * (done + take)]))
-                    if sum(len(x) for _, x in held) == 4 * size_of(sequence):
-                        out.append((sequence, 0, b"".join(x for _, x in sorted(open_windows.pop(sequence)))))
+                    open_windows.setdefault(sequence, []).append((offset, bytes(view[4 * done : 4 * (done + take)]), doc, done, n))
+                    held[sequence] = held.get(sequence, 0) + take
+                    if held[sequence] == size_of(sequence):
+                        out.append(record(sequence, open_windows.pop(sequence)))
+                        held.pop(sequence)
                     done += take
+                    if len(out) >= 512:
+                        yield batch_of(out, id_type)
+                        out = []
                 while len(open_windows) > most_open:
                     sequence = min(open_windows)
-                    out.extend((sequence, o, x) for o, x in open_windows.pop(sequence))
-            yield batch_of()
-        out.extend((s, o, x) for s, held in open_windows.items() for o, x in held)
-        yield batch_of()
+                    out.append(record(sequence, open_windows.pop(sequence)))
+                    held.pop(sequence)
+            yield batch_of(out, id_type)
+            out = []
+        if open_windows:
+            yield batch_of([record(s, parts) for s, parts in open_windows.items()], id_type)
 
     def stitch(table: pa.Table) -> pa.Table:
-        parts = sorted(zip(table.column("offset").to_pylist(), table.column("ids").to_pylist(), strict=True))
-        return pa.table({"sequence_id": table.column("sequence_id")[:1], "ids": pa.array([b"".join(x for _, x in parts)], pa.binary())})
+        sequence, parts = table.column("sequence_id")[0].as_py(), []
+        for ids, *pieces in zip(*(table.column(c).to_pylist() for c in ("ids", *lists)), strict=True):
+            at = 0
+            for doc, start, length, whole, offset in zip(*pieces, strict=True):
+                parts.append((offset, ids[4 * at : 4 * (at + length)], doc, start, whole))
+                at += length
+        return pa.Table.from_batches([batch_of([record(sequence, parts)], table.schema.field("docs").type.value_type)])
+
+    found = staged(placed.select(id_col, "at", "n", "ids").mapInArrow(gather, kind), "packing-windows")
+    whole = (F.col("tokens") == window) | ((F.col("sequence_id") == last) & (F.col("tokens") == rest))
+    return found.where(whole).unionByName(found.where(~whole).groupBy("sequence_id").applyInArrow(stitch, kind))
 
-    def padded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+def pieces(packed: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """One row per piece of a document, read off the windows; the checksum is that of the window's own ids."""
+    listed = F.expr(
+        "transform(arrays_zip(docs, starts, lengths, totals, offsets), p -> named_struct('d', p.docs, 'start', p.starts, 'length', p.lengths, "
+        "'ids_crc32', crc32(substring(ids, cast(4 * p.offsets + 1 as int), cast(4 * p.lengths as int))), 'doc_tokens', p.totals, 'sequence_id', sequence_id, 'offset', p.offsets))"
+    )
+    one = packed.select(F.explode(listed).alias("p"))
+    return one.select(F.col("p.d").alias(id_col), *(f"p.{x}" for x in ("start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")))
+
+
+def sequences(packed: DataFrame) -> DataFrame:
+    """(sequence_id, tokens, ids): the windows with their ids as lists, as a trainer reads them."""
+
+    def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values = [np.frombuffer(x, "<u4").astype(np.int64) for x in batch.column(1).to_pylist()]
-            full = [x if len(x) & (len(x) - 1) == 0 else np.append(x, np.full(window - len(x), pad_id)) for x in values]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(x) for x in values], pa.int64()), pa.array(full, pa.list_(pa.int64()))], names=["sequence_id", "tokens", "ids"])
+            values = [np.frombuffer(x, "<u4").astype(np.int64) for x in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(values, pa.list_(pa.int64()))], names=["sequence_id", "tokens", "ids"])
+
+    return packed.select("sequence_id", "tokens", "ids").mapInArrow(listed, "sequence_id long, tokens long, ids array<bigint>")
+
 
-    found = staged(placed.select("at", "n", "ids").mapInArrow(gather, "sequence_id long, offset long, ids binary"), "packing-windows")
-    whole = (F.octet_length("ids") == 4 * window) | ((F.col("sequence_id") == last) & (F.octet_length("ids") == 4 * rest))
-    stitched = found.where(~whole).groupBy("sequence_id").applyInArrow(stitch, "sequence_id long, ids binary")
-    return found.where(whole).select("sequence_id", "ids").unionByName(stitched).mapInArrow(padded, "sequence_id long, tokens long, ids array<bigint>")
+def packed_windows(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, end_id: int = 1) -> DataFrame:
+    return windows(with_offsets(tokenised(docs, vocabulary, id_col, text_col, end_id)), id_col, window)
 
 
 def packed_pieces(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, end_id: int = 1) -> DataFrame:
-    return pieces(with_offsets(tokenised(docs, vocabulary, id_col, text_col, end_id)), id_col, window)
+    return pieces(packed_windows(docs, vocabulary, id_col, text_col, window, end_id), id_col)
 
 
 def default_vocabulary() -> str:

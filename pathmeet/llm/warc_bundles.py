@@ -4,12 +4,17 @@ A bundle is a row of independent Zstandard frames of about ``frame_bytes`` of re
 then a seek table (a skippable frame that lists the compressed and plain size of each
 frame), so one record is read by fetching one frame. The manifest maps each record id to
 bundle, frame and offset in the frame. Equal payloads are stored once: the one with the
-smallest id is a response record, the others are revisit records without a block.
+smallest id is a response record (an HTTP message whose body is the payload), the others are
+revisit records without a body. Bundles are read by many tasks, each a run of frames, and
+a revisit's digest and length are checked against the response that it refers to.
 
 Defined results: a null payload is empty; payloads below ``least_bytes`` are all stored
 as responses; rows that repeat the smallest id of their class are responses too; null ids
-are kept and come last in that order. Executors write bundles under names of their own
-task attempt, and the manifest, written once, names those of successful attempts only.
+are kept and come last in that order, and equal payloads without any id are all responses, since
+no record could be referred to. Very long payloads are a frame of their own. Records are
+tied to rows by id alone. An empty table writes no bundle and gives no records. Columns other than the three are not
+read. Executors write bundles under names of their own task attempt, and the manifest, written
+once, names those of successful attempts only.
 """
 
 from __future__ import annotations
@@ -19,13 +24,14 @@ import hashlib
 import struct
 import uuid
 from collections.abc import Iterator
+from datetime import datetime, timezone
 
 import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathmeet.joins import bounded_join, fits
+from pathmeet.joins import hot_join
 from pathmeet.scratch import new_path, staged
 
 #: Fixed values of the seekable format: skippable frame magic, seek table magic.
@@ -38,16 +44,18 @@ def digest_of(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def record_bytes(record_id: str, url: str, payload: bytes, digest: str, length: int, refers_to: str | None) -> bytes:
-    """One WARC/1.1 record. A revisit (``refers_to``) has no block but keeps digest and length."""
-    block = b"" if refers_to is not None else payload
+def record_bytes(record_id: str, url: str, payload: bytes, digest: str, length: int, refers_to: str | None, date: str) -> bytes:
+    """One WARC/1.1 record: an HTTP response, or a revisit (``refers_to``) with its header only, which keeps digest and length."""
+    http = CRLF.join([b"HTTP/1.1 200 OK", b"Content-Type: text/html; charset=utf-8", b"Content-Length: %d" % length]) + CRLF * 2
+    block = http if refers_to is not None else http + payload
     lines = [
         "WARC/1.1",
         f"WARC-Type: {'response' if refers_to is None else 'revisit'}",
         f"WARC-Record-ID: <urn:x-record:{record_id}>",
+        f"WARC-Date: {date}",
         f"WARC-Target-URI: {' '.join(url.split())}",
         f"WARC-Payload-Digest: sha1:{digest}",
-        f"X-Payload-Length: {length}",
+        "Content-Type: application/http;msgtype=response",
         f"Content-Length: {len(block)}",
     ]
     if refers_to is not None:
@@ -55,15 +63,17 @@ def record_bytes(record_id: str, url: str, payload: bytes, digest: str, length:
     return CRLF.join(x.encode() for x in lines) + CRLF * 2 + block + CRLF * 2
 
 
-def parse_records(data: bytes) -> Iterator[tuple[int, dict[str, str], bytes]]:
-    """(offset, header fields, block) of each record in a plain frame."""
+def parse_records(data: bytes) -> Iterator[tuple[int, dict[str, str], dict[str, str], bytes]]:
+    """(offset, header fields, HTTP fields, payload) of each record in a plain frame."""
     at = 0
+    fields = lambda raw: dict(x.split(": ", 1) for x in raw.decode().split("\r\n")[1:])
     while at < len(data):
         stop = data.index(CRLF * 2, at)
-        head = dict(x.split(": ", 1) for x in data[at:stop].decode().split("\r\n")[1:])
+        head = fields(data[at:stop])
         begin = stop + 4
         end = begin + int(head["Content-Length"])
-        yield at, head, data[begin:end]
+        body = data.index(CRLF * 2, begin) + 4
+        yield at, head, fields(data[begin : body - 4]), data[body:end]
         at = end + 4
 
 
@@ -129,12 +139,12 @@ def read_frame(file, start: int, packed: int, plain: int) -> bytes:
 
 
 def read_record(bundle: str, frame: int, offset: int) -> tuple[dict[str, str], bytes]:
-    """One record by its place in the manifest; reads the seek table and one frame."""
+    """Header fields and payload of one record by its place in the manifest; reads the seek table and one frame."""
     fs, path = opened(bundle)
     with fs.open_input_file(path) as file:
         data = read_frame(file, *seek_table(file)[frame])
-    _, head, block = next(parse_records(data[offset:]))
-    return head, block
+    _, head, _, payload = next(parse_records(data[offset:]))
+    return head, payload
 
 
 MANIFEST = "record_id string, bundle string, frame int, offset long, length long"
@@ -147,16 +157,20 @@ def classify(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     joined back, so unique pages are not shuffled while those fit a broadcast."""
     long_enough = F.octet_length("_payload") >= least_bytes
     key = F.sha2("_payload", 256)
-    copies = pages.where(long_enough).groupBy(key.alias("_key")).agg(F.count("*").alias("_n"), F.min("_id").alias("_first")).where("_n > 1").drop("_n")
+    copies = pages.where(long_enough).groupBy(key.alias("_key")).agg(F.count("*").alias("_n"), F.min("_id").alias("_first")).where("_n > 1")
     copies = staged(copies, "warc-copies")
-    return bounded_join(pages.withColumn("_key", F.when(long_enough, key)), copies, "_key", "left").drop("_key")
+    return hot_join(pages.withColumn("_key", F.when(long_enough, key)), copies, ["_key"], "_n", pages.count()).drop("_key", "_n")
 
 
 def write_bundles(
     spark: SparkSession, pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html",
     folder: str | None = None, frame_bytes: int = 1 << 18, bundle_bytes: int = 1 << 30, level: int = 3, least_bytes: int = 0,
+    date: str | None = None,
 ) -> DataFrame:
-    """Writes a record per row below ``folder`` and returns the manifest, one row per record."""
+    """Writes a record per row below ``folder`` and returns the manifest, one row per record.
+
+    ``date`` is the ``WARC-Date`` of the records; the time of this call if none is given."""
+    date = date or datetime.now(timezone.utc).strftime("%Y-%m-%dT%H:%M:%SZ")
     folder = folder or new_path(spark, "warc")
     slim = pages.select(F.col(id_col).alias("_id"), F.col(url_col).cast("string").alias("_url"), F.coalesce(F.col(payload_col).cast("binary"), F.lit(b"")).alias("_payload"))
     rows = classify(slim, least_bytes).select(F.col("_id").cast("string"), F.coalesce("_url", F.lit("")).alias("_url"), "_payload", F.when(~F.col("_id").eqNullSafe(F.col("_first")), F.col("_first")).cast("string").alias("_refers"))
@@ -177,7 +191,7 @@ def write_bundles(
                     name = f"bundle-{uuid.uuid4().hex}.warc.zst"
                     writer, written = BundleWriter(fs.open_output_stream(f"{root}/{name}", compression=None), frame_bytes, level), 0
                 rid = "null" if rid is None else rid
-                record = record_bytes(rid, url, payload, digest_of(payload), len(payload), refers)
+                record = record_bytes(rid, url, payload, digest_of(payload), len(payload), refers, date)
                 frame, offset = writer.add(record)
                 held.append({"record_id": rid, "bundle": f"{folder}/{name}", "frame": frame, "offset": offset, "length": len(record)})
                 written += len(record)
@@ -194,12 +208,12 @@ def write_bundles(
     return staged(rows.mapInArrow(write, MANIFEST), "warc-manifest")
 
 
-def read_bundles(spark: SparkSession, manifest: DataFrame, with_payload: bool = False, frames_per_task: int = 256) -> DataFrame:
+def read_bundles(spark: SparkSession, manifest: DataFrame, with_payload: bool = False, frames_per_task: int = 16) -> DataFrame:
     """Every record of the manifest's bundles, read frame by frame through the seek tables.
 
-    Frames are dealt to tasks in runs, so a large bundle is read by many tasks. Payload
-    figures are computed anew from the blocks; revisits have those in their header."""
-    runs = manifest.groupBy("bundle", F.expr(f"frame div {frames_per_task}").alias("run")).agg(F.lit(1).alias("one")).select("bundle", F.col("run").cast("long"))
+    Frames are dealt to tasks in runs, so a large bundle is read by many tasks. The digest of a
+    stored payload is computed anew and compared; revisits state those of the response (``verified``)."""
+    runs = staged(manifest.groupBy("bundle", F.expr(f"frame div {frames_per_task}").cast("long").alias("run")).agg(F.lit(1).alias("one")).select("bundle", "run"), "warc-runs")
     kind = "record_id string, payload_bytes long, payload_digest string, record_type string, refers_to string" + ", payload binary" * with_payload
     names = [x.split()[0] for x in kind.split(", ")]
 
@@ -211,24 +225,41 @@ def read_bundles(spark: SparkSession, manifest: DataFrame, with_payload: bool =
                 with fs.open_input_file(path) as file:
                     for place in seek_table(file)[run * frames_per_task : (run + 1) * frames_per_task]:
                         rows = [[] for _ in names]
-                        for _, head, block in parse_records(read_frame(file, *place)):
+                        for _, head, http, payload in parse_records(read_frame(file, *place)):
                             refers = head.get("WARC-Refers-To")
-                            kept = refers is not None
+                            stated = head["WARC-Payload-Digest"][len("sha1:") :]
+                            if refers is None and digest_of(payload) != stated:
+                                raise ValueError(f"record {head['WARC-Record-ID']} of {bundle} does not match its digest")
                             row = (
-                                head["WARC-Record-ID"][len("<urn:x-record:") : -1], int(head["X-Payload-Length"]) if kept else len(block),
-                                head["WARC-Payload-Digest"][len("sha1:") :] if kept else digest_of(block), head["WARC-Type"],
-                                refers[len("<urn:x-record:") : -1] if kept else None, block,
+                                head["WARC-Record-ID"][len("<urn:x-record:") : -1], int(http["Content-Length"]), stated, head["WARC-Type"],
+                                refers[len("<urn:x-record:") : -1] if refers is not None else None, payload,
                             )
                             for held, value in zip(rows, row, strict=False):
                                 held.append(value)
                         yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(rows, types, strict=True)], names=names)
 
-    return runs.repartition("bundle", "run").mapInArrow(read, kind)
+    # a number of partitions of our own: rows of file names look too small to be kept apart
+    count = runs.count()
+    cores = spark.sparkContext.defaultParallelism
+    return runs.repartition(max(1, min(count, max(4 * cores, count // 8)))).mapInArrow(read, kind)
+
+
+def verified(records: DataFrame) -> DataFrame:
+    """``records`` (written), once every revisit agrees in digest and length with the response that it refers to.
+
+    Revisits are combined by what they refer to before the shuffle, so one payload with very many copies moves once per task."""
+    what = ["payload_digest", "payload_bytes"]
+    wanted = records.where("record_type = 'revisit'").select(F.col("refers_to").alias("record_id"), *what).distinct()
+    there = records.where("record_type = 'response'").select("record_id", *what)
+    lost = wanted.join(there, ["record_id", *what], "left_anti")
+    if not lost.isEmpty():
+        raise ValueError("a revisit record does not agree with the response that it refers to")
+    return records
 
 
 def op2_warc_bundles(spark: SparkSession, sf_dir: str) -> DataFrame:
     manifest = write_bundles(spark, spark.read.parquet(f"{sf_dir}/pages.parquet"))
-    read = read_bundles(spark, manifest)
+    read = verified(staged(read_bundles(spark, manifest), "warc-read"))
     number = lambda c: F.expr(f"try_cast({c} AS bigint)")
     return read.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to").alias("refers_to"))
 

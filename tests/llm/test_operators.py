@@ -140,11 +140,19 @@ def test_warc_round_trip(spark, tmp_path):
     for m in manifest.collect()[::4]:  # seekable: one record by one frame
         head, block = warc_bundles.read_record(m.bundle, m.frame, m.offset)
         assert head["WARC-Record-ID"] == f"<urn:x-record:{m.record_id}>"
+        assert head["WARC-Date"] and head["Content-Type"] == "application/http;msgtype=response"
         assert head["WARC-Type"] == "revisit" or block == (pages[int(m.record_id)][2] or "").encode()
     empty = spark.createDataFrame([], "page_id long, url string, html string")
     assert warc_bundles.read_bundles(spark, warc_bundles.write_bundles(spark, empty)).count() == 0
     short = warc_bundles.write_bundles(spark, table, least_bytes=10_000)
     assert warc_bundles.read_bundles(spark, short).where("record_type = 'revisit'").count() == 0
+    found = warc_bundles.read_bundles(spark, manifest, frames_per_task=1)
+    assert found.rdd.getNumPartitions() > 8  # file names are not merged into one task
+    assert warc_bundles.verified(found).count() == 30
+    with pytest.raises(ValueError, match="revisit"):
+        warc_bundles.verified(found.withColumn("payload_bytes", F.col("payload_bytes") + (F.col("record_type") == "revisit").cast("int")))
+    nameless = spark.createDataFrame([(None, "http://a", "same", "k")] * 3, table.schema)
+    assert [r.record_type for r in warc_bundles.read_bundles(spark, warc_bundles.write_bundles(spark, nameless)).collect()] == ["response"] * 3
 
 
 # --- mixing ---------------------------------------------------------------------------------
@@ -339,9 +347,9 @@ def test_packing_equals_the_tokenizer(spark, odd, none):
 
     path = packing.default_vocabulary()
     model = Tokenizer.from_file(path)
-    model.encode_special_tokens = True
     placed = packing.with_offsets(packing.tokenised(odd.repartition(3), path))
-    got = packing.pieces(placed, window=64).collect()
+    packed = packing.windows(placed, window=64, most_open=1)
+    got = packing.pieces(packed).collect()
     ids = defaultdict(list)
     for doc, text, *_ in ODD:
         ids[doc].append([*model.encode(text or "", add_special_tokens=False).ids, 1])
@@ -361,7 +369,7 @@ def test_packing_equals_the_tokenizer(spark, odd, none):
             assert offset == at
             at += length
         assert at == 64 or s == last
-    whole = packing.sequences(placed, window=64, most_open=1).orderBy("sequence_id").collect()
+    whole = packing.sequences(packed).orderBy("sequence_id").collect()
     assert [r.sequence_id for r in whole] == list(range(last + 1)) and all(len(r.ids) == 64 or (len(r.ids) & (len(r.ids) - 1)) == 0 for r in whole)
     stream = [x for r in whole for x in r.ids[: r.tokens]]
     assert Counter(stream) == Counter(x for lists in ids.values() for one in lists for x in one)
@@ -375,8 +383,8 @@ def test_fast_model_equals_tokenizers_on_odd_texts():
 
     path = packing.default_vocabulary()
     model, encode = Tokenizer.from_file(path), packing.encoder(path)
-    model.encode_special_tokens = True
-    for text in ["a  b", "  a\n b \n", "x\n\n  y  ", "it's they'll <|endoftext|>", " ", "", "\t \t a", " é  è́ 1 23 $%^ _", "a \x1c b \x85 c\xa0 d", "a" * 5000, " " * 5000]:
+    runs = [" " * 1_500_000 + "x", "\n" * 1_200_000 + " x", "x" + "\t " * 600_000, "a" * 300_000, " a" * 100_000, "a <|endoftext|> b", " " * 9000 + "<|endoftext|>"]
+    for text in [*runs, "a  b", "  a\n b \n", "x\n\n  y  ", "it's they'll <|endoftext|>", " ", "", "\t \t a", " é  è́ 1 23 $%^ _", "a \x1c b \x85 c\xa0 d", "a" * 5000, " " * 5000, " " * 4095 + "a", "a" + "\u2003" * 5000 + "b"]:
         assert np.frombuffer(encode(text), "<u4").tolist() == model.encode(text, add_special_tokens=False).ids
 
 
@@ -397,8 +405,37 @@ def test_sharding_round_trip_versions_and_tiers(spark, odd, none):
     one = count(many)
     assert count(back) == Counter({k: 3 * v for k, v in one.items()})
     assert not store.compact()  # no tier is full any more
-    with pytest.raises(Exception, match="(?i)exists"):
+    with pytest.raises(FileExistsError):
         store.commit(store.manifest(), version - 1)  # another writer was first
+    assert store.versions() == [version - 1, version]  # the version before is still there
+    assert count(store.read(odd.schema, version - 1).select(*odd.columns)) == count(back)
+    store.vacuum(keep=1)
+    assert store.versions() == [version] and count(store.read(odd.schema).select(*odd.columns)) == count(back)
+
+
+def test_a_writer_that_dies_leaves_the_store_readable(spark, odd, monkeypatch):
+    store = sharding.Store(spark)
+    store.append(odd)
+
+    def die(draft, final):
+        raise KeyboardInterrupt
+
+    monkeypatch.setattr(store, "_publish", die)  # dies between writing the version and giving it its name
+    with pytest.raises(KeyboardInterrupt):
+        store.append(odd)
+    monkeypatch.undo()
+    assert store.version() == 1 and store.read(odd.schema).count() == len(ODD)
+    assert store.append(odd) == 2 and store.read(odd.schema).count() == 2 * len(ODD)
+
+
+def test_arrivals_of_different_columns_merge(spark):
+    store = sharding.Store(spark, fanout=2)
+    for i in range(4):
+        store.append(spark.createDataFrame([(i, "t", "x")], ["doc_id", "text", ["a", "_shard"][i % 2]]).coalesce(1))
+    store.compact_fully()
+    back = store.read(spark.createDataFrame([], "doc_id long, text string, a string, _shard string").schema)
+    assert sorted((r.doc_id, r.a, r["_shard"]) for r in back.collect()) == [(0, "x", None), (1, None, "x"), (2, "x", None), (3, None, "x")]
+    assert "_shard_" in back.columns
 
 
 # --- vector search --------------------------------------------------------------------------
