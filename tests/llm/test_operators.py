@@ -339,6 +339,26 @@ def test_language_fusion(spark, odd, none):
     assert {1, 6, 7, 10} <= {r.doc_id for r in kept.collect()} and 4 not in {r.doc_id for r in kept.collect()}
 
 
+def test_seventy_languages_and_long_pages_are_learned(spark):
+    rng = np.random.default_rng(2)
+    names = [f"{a}{b}" for a in "abcdefghij" for b in "klmnopq"]
+    texts = {lang: ["".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), 6)) for _ in range(12)] for lang in names}
+    rows = [(i, f"http://h{i}.org/", f'<html lang="{lang}">' + " ".join(rng.choice(texts[lang], 40)) + "</html>") for i, lang in enumerate(names * 4)]
+    long = [(1000 + i, "http://x.org/", '<html lang="zz">' + "zuzu zozo zizi " * 4000 + "</html>") for i in range(4)]  # a language of long pages only
+    unnamed = [(2000 + i, None, " ".join(rng.choice(texts[lang], 40))) for i, lang in enumerate(names)] + [(3000, None, "zozo zizi zuzu")]
+    pages = spark.createDataFrame(rows + long + unnamed, "page_id long, url string, html string")
+    lang = {r.id: r.lang for r in language_id.pages_languages(spark, pages).collect()}
+    assert all(lang[i] == x for i, x in enumerate(names * 4)) and all(lang[2000 + i] == x for i, x in enumerate(names))
+    assert lang[1000] == "zz" and lang[3000] == "zz"
+    assert all(x is None for x in {r.id: r.lang for r in language_id.pages_languages(spark, pages, support=5).collect()}.values())
+
+
+def test_trigram_counts_do_not_depend_on_blocks():
+    text = "les mots " * 300_000
+    assert abs(language_id.trigram_counts(text) - np.bincount(language_id.trigrams(text.encode()), minlength=language_id.BUCKETS)).sum() <= 12
+    assert language_id.trigram_counts(None).sum() == 0
+
+
 # --- packing --------------------------------------------------------------------------------
 
 
