@@ -1,7 +1,7 @@
 """Toxicity by compression distance: windows of a text against two trained Zstandard dictionaries.
 
-Both classes share a base dictionary, trained on a third of the ordinary training texts.
-On top of it the ordinary dictionary is trained on windows of other ordinary texts, and the
+Both classes share a base dictionary, trained on a quarter of the ordinary training texts.
+On top of it the ordinary dictionary is trained on windows of another quarter, and the
 toxic one on windows of toxic texts. A window of a few words is compressed with both; the
 bytes that the toxic dictionary saves are the window's distance.
 
@@ -11,11 +11,11 @@ trained on the windows of the other parts, and only those whose distance is beyo
 ``RARE`` quantile of untouched ordinary windows train the next round's dictionaries. What
 recurs across toxic texts is kept; what a dictionary has merely seen before is not.
 
-A text's score comes from the distances of all its windows by a logistic calibration. The
-training texts are dealt into ``FOLDS`` folds with a pair of dictionaries each, trained without the
-fold. A fold's features come from its own pair, and the size of the class dictionaries, the ridge and
-the cut (shifted to ``threshold``) are chosen on these out-of-fold scores; other texts get
-the mean over the pairs. Held-out rows are never looked at.
+A text's score comes from the distances of all its windows by a logistic calibration on the other
+half of the ordinary texts and the toxic ones. These are dealt into ``FOLDS`` folds with a toxic
+dictionary each, trained without the fold's texts. A fold's features come from its own dictionary, and the size of the
+class dictionaries, the ridge and the cut (shifted to ``threshold``) are chosen on these out-of-fold
+scores; other texts get the mean over the dictionaries. Held-out rows are never looked at.
 
 Defined results: null, empty and blank texts get the score of a text whose windows save
 nothing. Very long texts are scored whole. Labels of held-out rows, language, source and id
@@ -40,7 +40,7 @@ from pathmeet.llm.labelled import fit_logistic, held_out, logit, sigmoid, traini
 WINDOW_WORDS, MARK = 4, b"~"
 #: Bytes of the common base, and of the class dictionaries that are tried.
 BASE_BYTES, CLASS_BYTES = 1 << 16, (1024, 2048)
-#: Folds of the calibration, each with its own pair of dictionaries.
+#: Folds of the calibration, each with its own toxic dictionary.
 FOLDS = 3
 #: Parts and rounds of the cross-fitting, the quantile of ordinary distances that a toxic window exceeds, and most windows of a training.
 PARTS, ROUNDS, RARE, MOST_WINDOWS = 4, 5, 0.99, 40_000
@@ -95,108 +95,121 @@ def lengths(content: bytes, cut: list[bytes]) -> np.ndarray:
     return np.fromiter((len(compress(w)) for w in cut), np.int64, len(cut))
 
 
-class Dictionaries:
-    """The ordinary and the toxic dictionary; plain data, so it ships to executors."""
+def features(distance: np.ndarray, rare: float) -> list[float]:
+    """What a text's score reads of the distances of its windows."""
+    if not len(distance):
+        return [0.0] * FEATURES
+    top = np.sort(distance)[::-1][:4]
+    beyond = distance > rare
+    return [
+        float(top[0]), float(top[:2].mean()), float(top.mean()), float(distance.mean()),
+        float(np.log1p(beyond.sum())), float(np.log(len(distance))), float(beyond.mean()),
+    ]
 
-    def __init__(self, ordinary: bytes, toxic: bytes, rare: float):
-        self.ordinary, self.toxic, self.rare = ordinary, toxic, rare
-        self.pair = None
 
-    def __getstate__(self):
-        return self.__dict__ | {"pair": None}
+class Ordinary:
+    """The base and the ordinary dictionaries of any size, and the ordinary windows that neither has seen."""
 
-    def distances(self, words: list[bytes]) -> np.ndarray:
-        """Bytes that the toxic dictionary saves in each window."""
-        if self.pair is None:
-            self.pair = compressor(self.ordinary), compressor(self.toxic)
-        plain, toxic = (x.compress for x in self.pair)
-        cut = windows(words)
-        return np.fromiter((len(plain(w)) - len(toxic(w)) for w in cut), np.int64, len(cut))
-
-    def features(self, words: list[bytes]) -> list[float]:
-        d = self.distances(words)
-        if not len(d):
-            return [0.0] * FEATURES
-        top = np.sort(d)[::-1][:4]
-        beyond = d > self.rare
-        return [float(top[0]), float(top[:2].mean()), float(top.mean()), float(d.mean()), float(np.log1p(beyond.sum())), float(np.log(len(d))), float(beyond.mean())]
-
-
-def learn(ordinary: list[list[bytes]], toxic: list[list[bytes]], size: int) -> Dictionaries:
-    """Trains both dictionaries on the words of the texts of each class."""
-    thirds = [shuffled(w for t in ordinary[i::3] for w in windows(t)) for i in range(3)]
-    usual = set().union(*map(set, thirds))
-    base, untouched = trained(thirds[0], BASE_BYTES), thirds[2][: MOST_WINDOWS // 2]
-    parts = [[w for w in shuffled(w for t in toxic[i::PARTS] for w in windows(t)) if w not in usual] for i in range(PARTS)]
+    def __init__(self, texts: list[list[bytes]], others: list[list[bytes]]):
+        mine, self.own = (shuffled(w for t in texts[i::2] for w in windows(t)) for i in range(2))
+        self.base, self.usual = trained(mine, BASE_BYTES), set(mine) | set(self.own)
+        self.untouched = shuffled(w for t in others for w in windows(t))[: MOST_WINDOWS // 2]
+        self.held: dict[int, tuple[bytes, np.ndarray]] = {}
+
+    def of(self, size: int) -> tuple[bytes, np.ndarray]:
+        """The dictionary with ``size`` bytes beside the base, and the lengths of the untouched windows with it."""
+        if size not in self.held:
+            content = self.base + trained(self.own, size)
+            self.held[size] = content, lengths(content, self.untouched)
+        return self.held[size]
+
+    def rare(self, size: int, toxic: bytes) -> float:
+        """The distance that few ordinary windows exceed."""
+        return float(np.quantile(self.of(size)[1] - lengths(toxic, self.untouched), RARE)) if self.untouched else 0.0
+
+
+def learn(ordinary: Ordinary, toxic: list[list[bytes]], size: int) -> tuple[bytes, float]:
+    """The toxic dictionary for the words of toxic texts, and the distance that few ordinary windows exceed."""
+    parts = [[w for w in shuffled(w for t in toxic[i::PARTS] for w in windows(t)) if w not in ordinary.usual] for i in range(PARTS)]
     chosen = parts
     for turn in range(ROUNDS):
         now = max(size, 8192 >> (2 * turn))  # wide at first, then as narrow as the result
-        plain = base + trained(thirds[1], now)
-        plain_untouched = lengths(plain, untouched)
-        kept = []
+        plain, kept = ordinary.of(now)[0], []
         for i, own in enumerate(parts):
-            other = base + trained([w for j, part in enumerate(chosen) if j != i for w in part], now)
-            usual_distance = plain_untouched - lengths(other, untouched)
-            rare = np.quantile(usual_distance, RARE) if len(untouched) else 0.0
+            other = ordinary.base + trained([w for j, part in enumerate(chosen) if j != i for w in part], now)
+            rare = ordinary.rare(now, other)
             kept.append([w for w, d in zip(own, lengths(plain, own) - lengths(other, own), strict=True) if d > rare])
         if sum(map(len, kept)) < 4 * PARTS:
             break
         chosen = kept
-    plain, other = base + trained(thirds[1], size), base + trained([w for part in chosen for w in part], size)
-    rare = float(np.quantile(lengths(plain, untouched) - lengths(other, untouched), RARE)) if untouched else 0.0
-    return Dictionaries(plain, other, rare)
+    other = ordinary.base + trained([w for part in chosen for w in part], size)
+    return other, ordinary.rare(size, other)
 
 
 class CompressionDistance:
-    """Dictionaries and calibration."""
+    """The dictionaries and the calibration; plain data, so it ships to executors."""
 
     def __init__(self, base: float = 0.0):
-        self.pairs: list[Dictionaries] = []
+        self.ordinary = b""
+        self.toxic: list[tuple[bytes, float]] = []
         self.mean = self.scale = self.weights = None
         self.shift, self.base = 0.0, base
+        self.ready = None
+
+    def __getstate__(self):
+        return self.__dict__ | {"ready": None}
+
+    def distances(self, words: list[bytes]) -> list[np.ndarray]:
+        """For each toxic dictionary, the bytes that it saves in each window."""
+        if self.ready is None:
+            self.ready = [compressor(x) for x in (self.ordinary, *(content for content, _ in self.toxic))]
+        cut = windows(words)
+        found = [np.fromiter((len(c.compress(w)) for w in cut), np.int64, len(cut)) for c in self.ready]
+        return [found[0] - x for x in found[1:]]
 
     def score(self, texts: list[str | None]) -> np.ndarray:
         if self.weights is None:
             return np.full(len(texts), self.base)
-        words = [words_of(t or "") for t in texts]
+        each = [self.distances(words_of(t or "")) for t in texts]
         total = np.zeros(len(texts))
-        for pair in self.pairs:
-            x = np.array([pair.features(w) for w in words]).reshape(len(texts), FEATURES)
+        for i, (_, rare) in enumerate(self.toxic):
+            x = np.array([features(d[i], rare) for d in each]).reshape(len(texts), FEATURES)
             total += np.c_[(x - self.mean) / self.scale, np.ones(len(x))] @ self.weights
-        return sigmoid(total / len(self.pairs) + self.shift)
+        return sigmoid(total / len(self.toxic) + self.shift)
 
 
 def train(sample: list[tuple[str, int]], threshold: float = 0.3) -> CompressionDistance:
     """Trains on (text, toxic) rows; all choices are made on out-of-fold scores."""
     texts = sorted({t: (words_of(t), y) for t, y in sample}.values(), key=lambda r: zlib.crc32(b" ".join(r[0])))
-    y = np.array([y for _, y in texts])
-    if set(y.tolist()) != {0, 1}:
+    plain, toxic = ([w for w, y in texts if y == k] for k in (0, 1))
+    if not plain or not toxic:
         return CompressionDistance(float(np.mean([y for _, y in sample])) if sample else 0.0)
-    fold = np.zeros(len(y), int)
-    for k in (0, 1):
-        fold[y == k] = np.arange((y == k).sum()) % FOLDS
+    seen, unseen = plain[: len(plain) // 2], plain[len(plain) // 2 :]
+    ordinary = Ordinary(seen, unseen)
+    judged = [*unseen, *toxic]
+    y = np.repeat([0, 1], [len(unseen), len(toxic)])
+    fold = np.concatenate([np.arange(len(unseen)), np.arange(len(toxic))]) % FOLDS
+    stands_for = len(plain) / len(unseen)  # ordinary texts that one judged text stands for
     tried = []
     for size in CLASS_BYTES:
-        x, pairs = np.zeros((len(y), FEATURES)), []
-        for k in range(FOLDS):
-            ordinary, toxic = ([texts[i][0] for i in np.flatnonzero((fold != k) & (y == c))] for c in (0, 1))
-            pairs.append(learn(ordinary, toxic, size))
-            for i in np.flatnonzero(fold == k):
-                x[i] = pairs[k].features(texts[i][0])
-        mean, scale = x.mean(0), x.std(0) + 1e-9
-        z = np.c_[(x - mean) / scale, np.ones(len(x))]
+        model = CompressionDistance()
+        model.ordinary = ordinary.of(size)[0]
+        model.toxic = [learn(ordinary, [w for w, f in zip(toxic, fold[len(unseen) :], strict=True) if f != k], size) for k in range(FOLDS)]
+        x = np.array([features(model.distances(w)[k], model.toxic[k][1]) for w, k in zip(judged, fold.tolist(), strict=True)])
+        model.mean, model.scale = x.mean(0), x.std(0) + 1e-9
+        z = np.c_[(x - model.mean) / model.scale, np.ones(len(x))]
         for ridge in RIDGES:
             p = np.zeros(len(y))
             for k in range(FOLDS):
                 p[fold == k] = sigmoid(z[fold == k] @ fit_logistic(z[fold != k], y[fold != k], ridge))
             p = np.clip(p, 1e-6, 1 - 1e-6)
             loss = -float((y * np.log(p) + (1 - y) * np.log(1 - p)).sum())
-            tried.append((loss, size, ridge, p, mean, scale, z, pairs))
-    _, _, ridge, p, mean, scale, z, pairs = min(tried, key=lambda t: t[:3])
-    model = CompressionDistance()
-    model.pairs, model.mean, model.scale, model.weights = pairs, mean, scale, fit_logistic(z, y, ridge)
+            tried.append((loss, size, ridge, p, z, model))
+    _, _, ridge, p, z, model = min(tried, key=lambda t: t[:3])
+    model.weights = fit_logistic(z, y, ridge)
     cuts = np.unique(np.quantile(p, np.linspace(0.02, 0.995, 196)))
-    f1 = [2 * (y[p >= c].sum()) / max(1, (p >= c).sum() + y.sum()) for c in cuts]
+    hits, alarms = np.array([(y[p >= c] == 1).sum() for c in cuts]), np.array([(y[p >= c] == 0).sum() for c in cuts]) * stands_for
+    f1 = 2 * hits / np.maximum(1, hits + alarms + y.sum())
     model.shift = logit(threshold) - logit(float(cuts[int(np.argmax(f1))]))
     return model
 
