@@ -9,11 +9,15 @@ from __future__ import annotations
 import atexit
 import contextlib
 import tempfile
+import threading
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-_written: dict[str, SparkSession] = {}
+#: Folders made here, with the session and the thread that made them; and the tables that lie in some of them.
+_written: dict[str, tuple[SparkSession, int]] = {}
+_tables: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -48,7 +52,7 @@ def _qualified(spark: SparkSession, path: str) -> str:
 def new_path(spark: SparkSession, name: str) -> str:
     """A fresh folder name below the shared folder; removed when the process ends."""
     path = f"{shared_dir(spark)}/pathmeet-{name}-{uuid.uuid4().hex[:12]}"
-    _written[path] = spark
+    _written[path] = spark, threading.get_ident()
     return path
 
 
@@ -64,8 +68,31 @@ def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
+def made() -> set[str]:
+    """The folders that this thread has made and that still exist."""
+    mine = threading.get_ident()
+    return {path for path, (_, thread) in list(_written.items()) if thread == mine}
+
+
+def settled(name: str, build: Callable[[], DataFrame]) -> DataFrame:
+    """Builds a table, writes it, and deletes the tables that were written on the way to it."""
+    before = made()
+    out = staged(build(), name)
+    for path in made() - before - paths_of(out):
+        drop_path(out.sparkSession, path)
+    return out
+
+
+def paths_of(df: DataFrame) -> set[str]:
+    """The folders made here that ``df`` reads."""
+    roots = {f.rpartition("/")[0].rpartition("/")[2] for f in df.inputFiles()}
+    return {p for p in list(_written) if p.rpartition("/")[2] in roots}
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
-    """Deletes a folder made by ``new_path``."""
+    """Deletes a folder made by ``new_path``, and the table in it."""
+    if path in _tables:
+        spark.sql(f"DROP TABLE IF EXISTS {_tables.pop(path)}")
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
@@ -74,14 +101,13 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def discard(df: DataFrame) -> None:
     """Deletes the files below a ``staged`` table that nothing reads any more."""
-    roots = {f.rpartition("/")[0].rpartition("/")[2] for f in df.inputFiles()}
-    for path in [p for p in _written if p.rpartition("/")[2] in roots]:
+    for path in paths_of(df):
         drop_path(df.sparkSession, path)
 
 
 @atexit.register
 def _clean() -> None:
-    for path, spark in list(_written.items()):
+    for path, (spark, _) in list(_written.items()):
         with contextlib.suppress(Exception):
             drop_path(spark, path)
 
@@ -94,5 +120,6 @@ def bucketed(df: DataFrame, name: str, key: str, buckets: int | None = None) ->
     path = new_path(spark, name)
     table = path.rpartition("/")[2].replace("-", "_")
     buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    _tables[path] = table
     df.write.format("parquet").option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(table)
     return spark.table(table)
