@@ -26,7 +26,7 @@ from pyspark.sql.window import Window
 
 from pathmeet.joins import bounded_join, hot_join
 from pathmeet.rows import numbered, without_rows
-from pathmeet.scratch import bucketed, discard, staged
+from pathmeet.scratch import bucketed, discard, settled, staged
 
 #: The white space that normalisation deletes, [\x20\x09-\x0D].
 WHITE = " \t\n\x0b\x0c\r"
@@ -138,8 +138,8 @@ def _compare_bytes(base: DataFrame, repeated: DataFrame) -> None:
 def keep_first(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns; rows are told apart by numbers, so repeated ids do no harm."""
     held, row = numbered(docs, "dedup-docs")
-    found = exact_duplicates(spark, held, id_col, text_col, row_col=row, **options)
-    return without_rows(held, staged(found.where(~F.col("kept")).select(F.col("row").alias(row)), "dedup-gone"), row)
+    lost = lambda: exact_duplicates(spark, held, id_col, text_col, row_col=row, **options).where(~F.col("kept")).select(F.col("row").alias(row))
+    return without_rows(held, settled("dedup-gone", lost), row)
 
 
 def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -35,7 +35,7 @@ from pyspark.sql.window import Window
 from pathmeet.joins import bounded_join, hot_join
 from pathmeet.llm.labelled import excerpt
 from pathmeet.rows import numbered, without_rows
-from pathmeet.scratch import staged
+from pathmeet.scratch import settled, staged
 
 #: Buckets of hashed trigrams; the odd constant spreads them (Fibonacci hashing).
 BUCKETS, SPREAD = 1 << 15, 2654435769
@@ -249,8 +249,8 @@ def documents_languages(spark: SparkSession, docs: DataFrame, id_col: str = "doc
 def keep_identified(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The rows of ``docs`` with a language, with all their columns."""
     held, row = numbered(docs, "lang-docs")
-    found = documents_languages(spark, held, id_col, row_col=row, **options)
-    return without_rows(held, staged(found.where("lang is null").select(F.col("row").alias(row)), "lang-gone"), row)
+    lost = lambda: documents_languages(spark, held, id_col, row_col=row, **options).where("lang is null").select(F.col("row").alias(row))
+    return without_rows(held, settled("lang-gone", lost), row)
 
 
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -31,7 +31,7 @@ from pathmeet.components import component_labels
 from pathmeet.joins import bounded_join, hot_join
 from pathmeet.llm.simhash_links import all_but_first, forest, near_duplicates
 from pathmeet.rows import numbered, without_rows
-from pathmeet.scratch import staged
+from pathmeet.scratch import discard, settled, staged
 
 #: Shingles whose minima are taken at once.
 BLOCK = 1 << 12
@@ -181,7 +181,7 @@ def similar_documents(
     slim = docs.select(F.col(id_col).alias("id"), F.col(row_col).alias("row"), F.col(text_col).alias("text"))
     read = staged(slim.select("id", "row", sketched(F.col("text"), words, bands, rows).alias("s")).select("id", "row", "s.key", "s.bands"), "shingle-sketches")
     distinct = staged(read.groupBy("key").agg(F.min("id").alias("least"), F.min("row").alias("row"), F.any_value("bands").alias("bands"), F.count("*").alias("size")), "shingle-distinct")
-    linked = near_duplicates(spark, slim, "id", "text", words=words, radius=radius, row_col="row").select("row", "root")
+    linked = settled("shingle-prints", lambda: near_duplicates(spark, slim, "id", "text", words=words, radius=radius, row_col="row").select("row", "root"))
     by_print = read.select("row", "key").join(linked, "row").select("key", F.lit(-1).alias("band"), F.col("root").alias("value")).distinct()
     # texts without words are one node already, and have no bands
     banded = distinct.select("key", F.posexplode("bands").alias("band", "value")).unionByName(by_print)
@@ -194,7 +194,9 @@ def similar_documents(
     # one document of each set is read again
     texts = bounded_join(slim.select("row", "text"), wanted, "row", "left_semi")
     sets = staged(texts.select(with_sets(F.col("text"), words).alias("s")).select("s.key", "s.shingles"), "shingle-sets")
-    links = staged(similar_links(nodes, sets, least, most), "shingle-all-links")
+    links = settled("shingle-all-links", lambda: similar_links(nodes, sets, least, most))
+    for done in (linked, banded, buckets, nodes, wanted, sets):
+        discard(done)
     labelled = component_labels(links).withColumnRenamed("id", "key").join(distinct.select("key", "least"), "key")
     groups = labelled.groupBy("comp").agg(F.min("least").alias("component"))
     home = labelled.select("key", "comp").join(groups, "comp").select("key", F.col("comp").alias("root"), "component")
@@ -207,5 +209,6 @@ def similar_documents(
 def keep_dissimilar(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The document with the smallest id of each component, with all its columns."""
     held, row = numbered(docs, "near-docs")
-    found = staged(similar_documents(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root"), "near-found")
-    return without_rows(held, staged(all_but_first(found, "root", "id").withColumnRenamed("row", row), "near-gone"), row)
+    groups = lambda: similar_documents(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root")
+    found = settled("near-found", groups)
+    return without_rows(held, settled("near-gone", lambda: all_but_first(found, "root", "id").withColumnRenamed("row", row)), row)

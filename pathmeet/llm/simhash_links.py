@@ -31,7 +31,7 @@ from pyspark.sql import types as T
 from pathmeet.components import component_labels
 from pathmeet.joins import hot_join
 from pathmeet.rows import numbered, without_rows
-from pathmeet.scratch import staged
+from pathmeet.scratch import settled, staged
 
 #: Shingles whose bits are summed at once.
 BLOCK = 1 << 15
@@ -274,8 +274,9 @@ def all_but_first(found: DataFrame, group: str, id_col: str) -> DataFrame:
 def keep_one(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The document with the smallest id of each component of linked fingerprints, with all its columns."""
     held, row = numbered(docs, "simhash-docs")
-    found = staged(near_duplicates(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root"), "simhash-found")
-    return without_rows(held, staged(all_but_first(found, "root", "id").withColumnRenamed("row", row), "simhash-gone"), row)
+    groups = lambda: near_duplicates(spark, held, id_col, text_col, row_col=row, **options).select(F.col(id_col).alias("id"), "row", "root")
+    found = settled("simhash-found", groups)
+    return without_rows(held, settled("simhash-gone", lambda: all_but_first(found, "root", "id").withColumnRenamed("row", row)), row)
 
 
 def op4_simhash_links(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -33,7 +33,7 @@ from pyspark.sql.window import Window
 from pathmeet.joins import bounded_join
 from pathmeet.llm.text_kernels import leading_words, word_count
 from pathmeet.rows import free_name, numbered
-from pathmeet.scratch import staged
+from pathmeet.scratch import settled, staged
 
 #: Rows that a bucket of the running sums is meant to hold, and the most bits of a bucket number.
 BUCKET_ROWS, BUCKET_BITS = 256, 16
@@ -147,10 +147,15 @@ def mixed_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
     inside them are in order. Documents without words weigh nothing and stay once, at their
     place in the source. Rows are told apart by numbers, so repeated ids are separate documents."""
     held, row = numbered(docs, "mix-docs")
-    share = allotments(spark, held, id_col, text_col, source_col, row_col=row, **options)
     once = F.when(F.col("size") == 0, F.array(F.lit(0).cast("long"))).otherwise(F.col("copies"))
-    copies = share.select(F.col("row"), "size", "source_size", "start", "rate", F.posexplode(once).alias("epoch", "words")).where("size = 0 or words > 0")
-    plan = staged(copies.select("row", "size", "words", ((F.col("epoch") * F.col("source_size") + F.col("start") + F.col("words")) * F.col("rate")).alias("tick")), "mix-plan")
+    tick = (F.col("epoch") * F.col("source_size") + F.col("start") + F.col("words")) * F.col("rate")
+
+    def copies() -> DataFrame:
+        share = allotments(spark, held, id_col, text_col, source_col, row_col=row, **options)
+        listed = share.select("row", "size", "source_size", "start", "rate", F.posexplode(once).alias("epoch", "words"))
+        return listed.where("size = 0 or words > 0").select("row", "size", "words", tick.alias("tick"))
+
+    plan = settled("mix-plan", copies)
     # ranges are drawn on the slim plan, since repartitionByRange would join all texts once more to sample them
     parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
     cuts = sorted(set(plan.agg(F.percentile_approx("tick", [i / parts for i in range(1, parts)] or [0.5], 10_000)).first()[0] or []))
