@@ -149,7 +149,7 @@ def searched(members: DataFrame, group: list[str], sets: DataFrame, least: float
     return members.join(sets, "key").select(*group, "key", "shingles").groupBy(*group).applyInArrow(search, "src string, dst string")
 
 
-def similar_links(nodes: DataFrame, sets: DataFrame, least: float, most: int = 2048) -> DataFrame:
+def similar_links(nodes: DataFrame, sets: DataFrame, least: float, most: int = 512) -> DataFrame:
     """Links (src, dst) that connect what similar keys of one bucket connect.
 
     ``nodes`` (written): (band, value, key, n, first), with the number of keys and the least key of the bucket."""
@@ -173,7 +173,7 @@ def similar_links(nodes: DataFrame, sets: DataFrame, least: float, most: int = 2
 
 def similar_documents(
     spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8, bands: int = 24, rows: int = 5,
-    radius: int = 2, row_col: str | None = None, most: int = 2048,
+    radius: int = 2, row_col: str | None = None, most: int = 512,
 ) -> DataFrame:
     """One row per document: id, row, component_id, root (the digest that names the component)."""
     if row_col is None:

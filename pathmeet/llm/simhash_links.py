@@ -159,31 +159,33 @@ def shard_forest(points: np.ndarray, home: np.ndarray, radius: int, most_pairs:
     return points[apart], points[label[apart]]
 
 
+#: Rows of a shard, visits included, for each of its home rows, beyond which it is split once more.
+VISITS = 8
 SHARDS = "shard long, fp long, home boolean"
 
 
 def shards(prints: DataFrame, radius: int, leaf: int, sample: int) -> DataFrame:
-    """(shard, fp, home): the fingerprints in every shard that they must reach, shards of about ``leaf`` rows."""
+    """(shard, fp, home): the fingerprints in every shard that they must reach, shards of about ``leaf`` home rows."""
     rows = prints.count()
     open_ = prints.select(F.lit(0).cast("long").alias("shard"), "fp", F.lit(True).alias("home"))
-    large, done, free = {0: rows} if rows > leaf else {}, [], 1
+    large, done, free = {0: (rows, rows)} if rows > leaf else {}, [], 1  # rows and home rows of shards to split
     while large:
-        total = sum(large.values())
+        total = sum(n for n, _ in large.values())
         wanted = min(sample, 32 * (total // leaf + 1) + 4096)  # grows with the leaves
         some = open_.where(F.pmod(F.xxhash64("fp", F.lit(free)), F.lit(1 << 30)) < int((1 << 30) * min(1.0, wanted / total)))
         drawn: dict[int, list[int]] = {}
         for r in some.select("shard", "fp").collect():
             drawn.setdefault(r.shard, []).append(r.fp)
         trees = {}
-        for shard, n in sorted(large.items()):
-            depth = min(12, max(1, math.ceil(math.log2(n / leaf))))
+        for shard, (n, own) in sorted(large.items()):
+            depth = min(12, max(1, math.ceil(math.log2(max(own / leaf, n / (VISITS * leaf))))))
             trees[shard] = free, fit_tree(np.array(sorted(drawn.get(shard, [])), np.int64).view(np.uint64), depth)
             free += 1 << depth
         routed = staged(_routed(open_, trees, radius), "simhash-routed")
-        sizes = {r.shard: r.n for r in routed.groupBy("shard").agg(F.count("*").alias("n")).collect()}
+        sizes = {r.shard: (r.n, r.own) for r in routed.groupBy("shard").agg(F.count("*").alias("n"), F.count_if("home").alias("own")).collect()}
         parent = {base + i: shard for shard, (base, nodes) in trees.items() for i in range(len(nodes) + 1)}
-        over = {shard: n for shard, n in sizes.items() if n > 4 * leaf}
-        stuck = {shard: n for shard, n in over.items() if n > 0.8 * large[parent[shard]]}
+        over = {shard: n for shard, n in sizes.items() if n[1] > 4 * leaf or n[0] > 4 * VISITS * leaf}
+        stuck = {shard: n for shard, (n, _) in over.items() if n > 0.8 * large[parent[shard]][0]}
         large = {shard: n for shard, n in over.items() if shard not in stuck}
         settled = routed.where(~F.col("shard").isin(*over)) if over else routed
         done.append(settled)
