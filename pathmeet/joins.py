@@ -2,15 +2,32 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows of slim columns that may be broadcast; beyond it a shuffled join is used.
 BROADCAST_ROWS = 200_000
 
 
+@contextmanager
+def co_partitioned(spark: SparkSession) -> Iterator[None]:
+    """Plans made and run inside may join on several keys by a partitioning on one of them.
+
+    A table bucketed by a node is then read in place by a join on (node, member), where it
+    would be shuffled again otherwise."""
+    key = "spark.sql.requireAllClusterKeysForCoPartition"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def fits(df: DataFrame, limit: int = BROADCAST_ROWS) -> bool:
     """True if ``df`` has at most ``limit`` rows; reads no more than ``limit + 1``."""
     return df.limit(limit + 1).count() <= limit

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from pathmeet.operators.frontier import levels, relaxed
 from pathmeet.operators.graph import Graph
@@ -33,34 +36,48 @@ def all_pairs(g: Graph, most_nodes: int = 5000) -> DataFrame:
 
 
 def bfs_distance(g: Graph, queries: DataFrame) -> DataFrame:
-    """(qid, s, t, dist, scanned): one search per query, stopped when it reaches t.
+    """(qid, s, t, dist, scanned): one search per distinct source, which ends once it has reached all of its targets.
 
-    ``scanned`` counts the arcs that the search of the query read."""
-    known = staged(queries.join(g.nodes.select(F.col("id").alias("s"), F.col("deg").alias("ds")), "s", "left_semi").join(g.nodes.select(F.col("id").alias("t")), "t", "left_semi"), "bfs-queries")
-    targets = known.select(F.col("qid"), F.col("t").alias("v"))
+    ``scanned`` counts the arcs that the search of the query alone reads: those of all levels before the target's."""
+    nodes = g.nodes.select("id")
+    known = queries.join(nodes.select(F.col("id").alias("s")), "s", "left_semi").join(nodes.select(F.col("id").alias("t")), "t", "left_semi")
+    wanted = staged(known.select("s", F.col("t").alias("v")).distinct(), "bfs-wanted")
+    degree = g.nodes.select(F.col("id").alias("v"), "deg")
+    hits, loads, left = [], [], [wanted]
 
-    def unfinished(level: DataFrame, depth: int) -> DataFrame:
+    def note(level: DataFrame) -> DataFrame:
+        """Keeps what the level tells, and the rows of sources that still miss a target."""
         level = staged(level, "bfs-level")
-        done = level.join(targets, ["qid", "v"], "left_semi").select("qid")
-        return level.withColumn("hit", F.lit(False)).join(done.withColumn("done", F.lit(True)).distinct(), "qid", "left").select("qid", "v", "d", F.col("done").isNotNull().alias("hit"))
-
-    start = known.select("qid", F.col("s").alias("v"), (F.col("s") == F.col("t")).alias("hit"))
-    reached = staged(levels(g.arcs, start, keys=("qid",), carry={"hit": F.first("hit")}, may_expand=~F.col("hit"), after=unfinished), "bfs")
-    dist = reached.join(targets, ["qid", "v"]).groupBy("qid").agg(F.min("d").alias("dist"))
-    work = reached.where(~F.col("hit")).join(g.nodes.select(F.col("id").alias("v"), "deg"), "v").groupBy("qid").agg(F.sum("deg").alias("scanned"))
-    return queries.join(dist, "qid", "left").join(work, "qid", "left").select("qid", "s", "t", "dist", F.coalesce("scanned", F.lit(0)).alias("scanned"))
+        found = staged(level.join(wanted, ["s", "v"], "left_semi").select("s", "v", "d"), "bfs-hits")
+        hits.append(found)
+        loads.append(staged(level.join(degree, "v").groupBy("s", "d").agg(F.sum("deg").alias("load")), "bfs-loads"))
+        left[0] = staged(left[0].join(found, ["s", "v"], "left_anti"), "bfs-left")
+        return level.join(left[0].select("s").distinct(), "s", "left_semi")
+
+    first = wanted.select("s").distinct().select("s", F.col("s").alias("v"))
+    start = note(first.withColumn("d", F.lit(0).cast("long"))).select("s", "v")
+    levels(g.arcs, start, keys=("s",), after=lambda level, _: note(level))
+    dist = reduce(DataFrame.unionByName, hits).withColumnRenamed("v", "t").withColumnRenamed("d", "dist")
+    answered = known.join(dist, ["s", "t"], "left")
+    load = reduce(DataFrame.unionByName, loads)
+    upto = F.coalesce(F.sum("load").over(Window.partitionBy("s").orderBy("d").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    before = load.select("s", F.col("d").alias("dist"), upto.alias("read"))
+    whole = load.groupBy("s").agg(F.sum("load").alias("all"))
+    work = answered.join(before, ["s", "dist"], "left").join(whole, "s").select("qid", "dist", F.when(F.col("dist").isNull(), F.col("all")).otherwise(F.col("read")).alias("scanned"))
+    return queries.join(work, "qid", "left").select("qid", "s", "t", "dist", F.coalesce("scanned", F.lit(0)).alias("scanned"))
 
 
 def bidirectional_bfs(g: Graph, queries: DataFrame, seeds: DataFrame | None = None) -> DataFrame:
     """(qid, s, t, dist, scanned): two searches per query, the one with fewer arcs to read goes on.
 
     A query ends when the sum of the finished depths reaches the best meeting, or a side is
-    exhausted. ``seeds`` (qid, side, v, d, depth) starts sides from known levels instead of
+    exhausted. Levels are written once each, and only the last one of a side is expanded. ``seeds`` (qid, side, v, d, depth) starts sides from known levels instead of
     their endpoint: all nodes up to ``depth`` are given."""
     ends = queries.select("qid", F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("s").alias("v")), F.struct(F.lit(1).alias("side"), F.col("t").alias("v")))).alias("e"))
     plain = ends.select("qid", "e.side", "e.v", F.lit(0).cast("long").alias("d"), F.lit(0).cast("long").alias("depth")).join(g.nodes.select(F.col("id").alias("v")), "v", "left_semi")
     start = plain if seeds is None else seeds.select("qid", "side", "v", "d", "depth")
-    visited = staged(start, "bidi-visited")
+    levels_held = [staged(start, "bidi-level")]
+    visited = levels_held[0]
     control = staged(
         queries.select("qid", F.explode(F.array(F.lit(0), F.lit(1))).alias("side")).join(visited.groupBy("qid", "side").agg(F.max("depth").alias("depth")), ["qid", "side"], "left")
         .select("qid", "side", F.coalesce("depth", F.lit(0).cast("long")).alias("depth"), F.lit(0).cast("long").alias("scanned")),
@@ -68,8 +85,8 @@ def bidirectional_bfs(g: Graph, queries: DataFrame, seeds: DataFrame | None = No
     )
     best = staged(_meetings(visited, visited), "bidi-best")
     degree = g.nodes.select(F.col("id").alias("v"), "deg")
+    front = staged(visited.join(control.select("qid", "side", F.col("depth").alias("at")), ["qid", "side"]).where("d = at").drop("at"), "bidi-front")
     while True:
-        front = visited.join(control.select("qid", "side", F.col("depth").alias("at")), ["qid", "side"]).where("d = at")
         load = front.join(degree, "v").groupBy("qid", "side").agg(F.sum("deg").alias("load"))
         facts = control.join(load, ["qid", "side"], "left").groupBy("qid").agg(
             F.sum("depth").alias("reach"), F.min(F.struct("load", "side")).alias("least"), F.count("load").alias("sides")
@@ -84,7 +101,10 @@ def bidirectional_bfs(g: Graph, queries: DataFrame, seeds: DataFrame | None = No
         new = staged(new.join(visited.select("qid", "side", "v"), ["qid", "side", "v"], "left_anti").withColumn("depth", F.col("d")), "bidi-new")
         met = _meetings(new, visited)
         best = staged(best.unionByName(met).groupBy("qid").agg(F.min("best").alias("best")), "bidi-best")
-        visited = staged(visited.unionByName(new), "bidi-visited")
+        levels_held.append(new)
+        visited = reduce(DataFrame.unionByName, levels_held)
+        live = going.select("qid")
+        front = staged(front.join(turn, ["qid", "side"], "left_anti").join(live, "qid", "left_semi").unionByName(new), "bidi-front")
         step = turn.withColumn("one", F.lit(1))
         control = staged(
             control.join(step, ["qid", "side"], "left").select("qid", "side", (F.col("depth") + F.coalesce("one", F.lit(0))).alias("depth"), (F.col("scanned") + F.coalesce("load", F.lit(0))).alias("scanned")), "bidi-control"

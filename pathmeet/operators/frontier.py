@@ -8,13 +8,15 @@ written table, so lineage stays short and a lost executor repeats one round at m
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathmeet.scratch import staged
 
-MOST_ROUNDS = 10_000
+#: Rounds after which a search is in error, and appended rounds of labels that are merged into one table.
+MOST_ROUNDS, MERGED = 10_000, 8
 
 
 def levels(
@@ -36,14 +38,15 @@ def levels(
     on = [*keys, "v"]
     last = staged(start.withColumn("d", F.lit(0).cast("long")).select(*on, "d", *carry), "level")
     held, depth = [last], 0
-    while (stop is None or depth < stop) and depth < MOST_ROUNDS:
+    while stop is None or depth < stop:
         depth += 1
+        if depth > MOST_ROUNDS:
+            raise RuntimeError(f"the search did not end in {MOST_ROUNDS} rounds")
         grown = (last if may_expand is None else last.where(may_expand)).join(arcs.select(F.col("src").alias("v"), "dst"), "v")
         reached = grown.groupBy(*keys, "dst").agg(*(value.alias(name) for name, value in carry.items()), F.lit(depth).cast("long").alias("d"))
         reached = reached.withColumnRenamed("dst", "v")
-        seen = held if directed else held[-2:]
-        for old in seen:
-            reached = reached.join(old.select(*on), on, "left_anti")
+        seen = reduce(DataFrame.unionByName, (old.select(*on) for old in (held if directed else held[-2:])))
+        reached = reached.join(seen, on, "left_anti")
         new = reached.select(*on, "d", *carry)
         last = staged(new if after is None else after(new, depth), "level")
         if last.isEmpty():
@@ -59,31 +62,34 @@ def relaxed(arcs: DataFrame, start: DataFrame, keys: tuple[str, ...], tie: str,
     """Label-correcting search for weighted arcs: (keys, v, d, tie, carried ``r``) at the fixpoint.
 
     ``start`` has (keys, v, d, tie, r). Only labels that got smaller are expanded in the next
-    round; a label is the least (d, tie) seen. ``opened`` (v) restricts the first round, where the
+    round; a label is the least (d, tie) seen. A round joins its candidates with the labels of the
+    same nodes and appends those that are smaller, so earlier labels are not written again; the
+    appended rounds are merged when there are ``MERGED`` of them. ``opened`` (v) restricts the first round, where the
     other labels are known to be settled."""
     on = [*keys, "v"]
-    state = staged(start.select(*on, "d", tie, "r"), "labels")
-    moved = state if opened is None else state.join(opened, "v", "left_semi")
+    rows = [*on, "d", tie, "r"]
+    start = staged(start.select(*rows), "labels")
+    rounds, moved = [start], start if opened is None else start.join(opened, "v", "left_semi")
+
+    def least(labels: list[DataFrame]) -> DataFrame:
+        """The label of each node: a later one is always better than an earlier one."""
+        union = reduce(DataFrame.unionByName, (x.withColumn("round", F.lit(i)) for i, x in enumerate(labels)))
+        return union.groupBy(*on).agg(F.max(F.struct("round", "d", tie, "r")).alias("x")).select(*on, "x.d", f"x.{tie}", "x.r")
+
     for _ in range(MOST_ROUNDS):
         open_rows = moved if may_expand is None else moved.where(may_expand)
         reached = open_rows.join(arcs.select(F.col("src").alias("v"), "dst", "w"), "v")
         reached = reached.select(*keys, F.col("dst").alias("v"), (F.col("d") + F.col("w")).alias("d"), (F.col("v") if tie == "parent" else F.col(tie)).alias(tie), "r")
         best = reached.groupBy(*on).agg(F.min(F.struct("d", tie)).alias("x"), F.first("r").alias("r2"))
-        smaller = F.col("d").isNull() | (F.col("x.d") < F.col("d"))
+        held = least(rounds).select(*on, F.col("d").alias("d0"), F.col(tie).alias("t0"), F.col("r").alias("r0"))
+        smaller = F.col("d0").isNull() | (F.col("x.d") < F.col("d0"))
         if tie != "parent":  # a parent of equal distance could close a ring of zero weights
-            smaller = smaller | ((F.col("x.d") == F.col("d")) & (F.col(f"x.{tie}") < F.col(tie)))
-        smaller = F.coalesce(smaller, F.lit(False))
-        merged = state.join(best, on, "full").select(
-            *on,
-            F.when(smaller, F.col("x.d")).otherwise(F.col("d")).alias("nd"),
-            F.when(smaller, F.col(f"x.{tie}")).otherwise(F.col(tie)).alias("nt"),
-            F.coalesce("r", "r2").alias("r"),
-            smaller.alias("moved"),
-        )
-        state = staged(merged.select(*on, F.col("nd").alias("d"), F.col("nt").alias(tie), "r", "moved"), "labels")
-        moved = state.where("moved")
+            smaller = smaller | ((F.col("x.d") == F.col("d0")) & (F.col(f"x.{tie}") < F.col("t0")))
+        better = best.join(held, on, "left").where(smaller).select(*on, "x.d", f"x.{tie}", F.coalesce("r0", "r2").alias("r"))
+        moved = staged(better.select(*rows), "labels")
         if moved.isEmpty():
-            break
-        state = state.drop("moved")
-        moved = moved.drop("moved")
-    return state.select(*on, "d", tie, "r")
+            return least(rounds).select(*rows)
+        rounds.append(moved)
+        if len(rounds) >= MERGED:
+            rounds = [staged(least(rounds).select(*rows), "labels")]
+    raise RuntimeError(f"the search did not end in {MOST_ROUNDS} rounds")

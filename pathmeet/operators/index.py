@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import uuid
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -12,7 +13,7 @@ from pathmeet.operators.anchors import draw_anchors
 from pathmeet.operators.graph import Graph
 from pathmeet.operators.radius import radii
 from pathmeet.operators.vicinity import anchor_tables, boundaries, inner_arcs, rims, vicinities
-from pathmeet.scratch import bucketed
+from pathmeet.scratch import bucketed, delete_folder, read_file, replace_file
 
 
 @dataclass
@@ -51,31 +52,50 @@ PARTS = ("nodes", "arcs", "anchors", "radius", "vicinity", "boundary", "tables")
 KEYS = {"nodes": "id", "arcs": "src", "anchors": "id", "radius": "u", "vicinity": "u", "boundary": "u", "tables": "a"}
 
 
-def save_index(index: Index, folder: str, buckets: int = 16) -> None:
-    """Writes each part as Parquet in directories by bucket of its key, then the manifest.
+#: Rows of vicinities that a bucket of a saved index is meant to hold, and the fewest buckets.
+BUCKET_ROWS, LEAST_BUCKETS = 4_000_000, 16
 
-    The manifest comes last, so a reader never sees half an index."""
+
+def save_index(index: Index, folder: str, buckets: int | None = None) -> None:
+    """Writes each part as Parquet in directories by bucket of its key, in a folder of its own, then names that folder.
+
+    The manifest is replaced in one step when all parts are there, so readers see the earlier index or
+    the new one. The index before is kept for readers that have opened it; older ones are deleted.
+    ``buckets`` grows with the vicinities by default."""
     spark = index.graph.arcs.sparkSession
     frames = {"nodes": index.graph.nodes, "arcs": index.graph.arcs, "anchors": index.anchors, "radius": index.radius, "vicinity": index.vicinity, "boundary": index.boundary, "tables": index.tables}
-    held = []
+    buckets = buckets or max(LEAST_BUCKETS, -(-index.vicinity.count() // BUCKET_ROWS))
+    at, held = f"index-{uuid.uuid4().hex}", []
     for name, df in frames.items():
         if df is None:
             continue
         bucket = F.pmod(F.xxhash64(KEYS[name]), F.lit(buckets)).cast("int")
         rows = df.withColumn("bucket", bucket).repartition(buckets, "bucket").sortWithinPartitions("bucket", KEYS[name])
-        rows.write.mode("overwrite").partitionBy("bucket").parquet(f"{folder}/{name}")
+        rows.write.partitionBy("bucket").parquet(f"{folder}/{at}/{name}")
         held.append(name)
-    manifest = {"parts": held, "buckets": buckets, "n": index.graph.n, "m": index.graph.m, "weighted": index.graph.weighted}
-    spark.createDataFrame([(json.dumps(manifest),)], "value string").coalesce(1).write.mode("overwrite").text(f"{folder}/manifest")
+    before = _manifest(spark, folder)
+    manifest = {"at": at, "before": before and before["at"], "parts": held, "buckets": buckets, "n": index.graph.n, "m": index.graph.m, "weighted": index.graph.weighted}
+    replace_file(spark, f"{folder}/manifest.json", json.dumps(manifest).encode())
+    if before and before["before"]:
+        delete_folder(spark, f"{folder}/{before['before']}")
+
+
+def _manifest(spark: SparkSession, folder: str) -> dict | None:
+    raw = read_file(spark, f"{folder}/manifest.json")
+    return None if raw is None else json.loads(raw)
 
 
 def read_manifest(spark: SparkSession, folder: str) -> dict:
-    return json.loads(spark.read.text(f"{folder}/manifest").first()[0])
+    """What the saved index consists of; ``at`` is the folder of its parts."""
+    found = _manifest(spark, folder)
+    if found is None:
+        raise FileNotFoundError(f"{folder} holds no index")
+    return found
 
 
 def load_index(spark: SparkSession, folder: str) -> Index:
-    """The saved index; its scans prune by the bucket directories."""
+    """The saved index; its scans prune by the bucket directories. Arcs are bucketed again for searches."""
     about = read_manifest(spark, folder)
-    part = {n: spark.read.parquet(f"{folder}/{n}").drop("bucket") for n in about["parts"]}
+    part = {n: spark.read.parquet(f"{folder}/{about['at']}/{n}").drop("bucket") for n in about["parts"]}
     graph = Graph(part["nodes"], bucketed(part["arcs"], "arcs_loaded", "src"), about["n"], about["m"], about["weighted"])
     return Index(graph, part["anchors"], part["radius"], part["vicinity"], part["boundary"], part.get("tables"))

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathmeet.joins import bounded_join
+from pathmeet.joins import bounded_join, co_partitioned
 from pathmeet.operators.index import Index
 from pathmeet.scratch import staged
 
@@ -35,10 +35,9 @@ def shortcuts(index: Index, known: DataFrame) -> DataFrame:
         at_s.join(tables.select(F.col("a").alias("s"), F.col("v").alias("t"), "d"), ["s", "t"]).select("qid", F.col("d").alias("dist"), F.lit("source_anchor").alias("case"), F.col("s").alias("witness"), F.lit(1).alias("rank")),
         at_t.join(tables.select(F.col("a").alias("t"), F.col("v").alias("s"), "d"), ["s", "t"]).select("qid", F.col("d").alias("dist"), F.lit("target_anchor").alias("case"), F.col("t").alias("witness"), F.lit(2).alias("rank")),
     ]
+    member = of_nodes(index.vicinity, apart.select(F.col("s").alias("u")).union(apart.select(F.col("t").alias("u"))))
     if index.graph.weighted:  # labels on the rim are upper bounds there, so only ball members count
-        member = index.vicinity.where("inside")
-    else:
-        member = index.vicinity
+        member = member.where("inside")
     found.append(apart.join(member.select(F.col("u").alias("s"), F.col("v").alias("t"), "d"), ["s", "t"]).select("qid", F.col("d").alias("dist"), F.lit("target_in_source").alias("case"), F.col("t").alias("witness"), F.lit(3).alias("rank")))
     found.append(apart.join(member.select(F.col("u").alias("t"), F.col("v").alias("s"), "d"), ["s", "t"]).select("qid", F.col("d").alias("dist"), F.lit("source_in_target").alias("case"), F.col("s").alias("witness"), F.lit(4).alias("rank")))
     out = found[0]
@@ -71,12 +70,17 @@ def choose_side(queries: DataFrame, probes: DataFrame, side: str) -> DataFrame:
     return both.select("qid", F.when(source, F.col("s")).otherwise(F.col("t")).alias("own"), F.when(source, F.col("t")).otherwise(F.col("s")).alias("other"))
 
 
+def of_nodes(rows: DataFrame, nodes: DataFrame) -> DataFrame:
+    """The rows of ``nodes`` (u), which are counted first: those of a batch are few beside an index."""
+    return bounded_join(rows, staged(nodes.distinct(), "endpoints"), "u", "left_semi")
+
+
 def meet(index: Index, rest: DataFrame, probe: str, side: str) -> DataFrame:
     """(qid, dist, witness, probes): least sum over members of both vicinities; null dist if they do not meet."""
     rows = probed_rows(index, probe)
     sided = choose_side(rest, rows, side)
     probes = sided.join(rows.select(F.col("u").alias("own"), F.col("v").alias("x"), F.col("d").alias("d1")), "own")
-    looked = probes.join(index.vicinity.select(F.col("u").alias("other"), F.col("v").alias("x"), F.col("d").alias("d2")), ["other", "x"], "left")
+    looked = probes.join(of_nodes(index.vicinity, sided.select(F.col("other").alias("u"))).select(F.col("u").alias("other"), F.col("v").alias("x"), F.col("d").alias("d2")), ["other", "x"], "left")
     total = F.col("d1") + F.col("d2")
     return looked.groupBy("qid").agg(F.min(F.when(total.isNotNull(), F.struct(total.alias("dist"), F.col("x").alias("witness")))).alias("best"), F.count("*").alias("probes")).select("qid", "best.dist", "best.witness", "probes")
 
@@ -92,9 +96,12 @@ def distance(index: Index, queries: DataFrame, probe: str | None = None, side: s
     weighted = index.graph.weighted
     probe = probe or ("rim" if weighted else "boundary")
     known = staged(annotate(index, queries.select("qid", "s", "t")), "queries")
-    short = staged(shortcuts(index, known), "shortcuts")
+    spark = known.sparkSession
+    with co_partitioned(spark):
+        short = staged(shortcuts(index, known), "shortcuts")
     rest = known.where("s <> t and c_s = c_t").join(short.select("qid"), "qid", "left_anti")
-    met = staged(meet(index, rest, probe, side), "met")
+    with co_partitioned(spark):
+        met = staged(meet(index, rest, probe, side), "met")
     reach = F.col("r_s") + F.col("r_t")
     joined = known.join(short.select("qid", F.col("dist").alias("d0"), F.col("case").alias("c0"), F.col("witness").alias("w0")), "qid", "left").join(met, "qid", "left")
     exact = F.col("c0").isNotNull() | (F.col("dist").isNotNull() & (F.lit(not weighted) | (F.col("dist") <= reach)))

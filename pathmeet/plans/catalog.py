@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pathmeet.operators import anchors as anchor_ops
 from pathmeet.operators import baselines, graph, meet, radius, route, strawmen, vicinity
 from pathmeet.plans import measures, workloads as w
-from pathmeet.plans.oracle import oracle
+from pathmeet.plans.oracle import oracle, pairs_sql
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -352,18 +352,15 @@ def strawman_errors(spark, sf_dir):
 
 # --- baselines ------------------------------------------------------------------------------
 
-_SOME = f"SELECT * FROM pairs WHERE s IN {FEW} AND t IN {FEW}"
-
-
 def _some_pairs(spark, sf_dir, name: str = MAIN) -> DataFrame:
-    """All pairs of the smaller sample, for searches that cost a whole graph per pair."""
+    """All pairs of the sample, those of the index entries."""
     g = w.graph_of(spark, sf_dir, name)
     if "some" not in g.memo:
-        g.memo["some"] = w.staged(w.sample_pairs(w.staged(few(spark, sf_dir, name), "few")), "some-pairs")
+        g.memo["some"] = w.staged(w.sample_pairs(w.sample_of(spark, sf_dir, name)), "some-pairs")
     return g.memo["some"]
 
 
-_SEARCH = oracle(MAIN, "exact", "pairs").add("picked", _SOME).query("SELECT qid, picked.s, t, d AS dist FROM picked LEFT JOIN exact e ON e.s = picked.s AND e.v = t")
+_SEARCH = oracle(MAIN, "exact", "pairs").add("picked", "SELECT * FROM pairs").query("SELECT qid, picked.s, t, d AS dist FROM picked LEFT JOIN exact e ON e.s = picked.s AND e.v = t")
 
 
 @entry(_SEARCH)
@@ -389,7 +386,7 @@ def single_source(spark, sf_dir):
     return w.truth_of(spark, sf_dir, MAIN)
 
 
-_LAND = oracle(MAIN, "exact", "pairs").add("picked", _SOME).add("marks", "SELECT id FROM anchors ORDER BY id LIMIT 20").add(
+_LAND = oracle(MAIN, "exact", "pairs").add("picked", "SELECT * FROM pairs").add("marks", "SELECT id FROM anchors ORDER BY id LIMIT 20").add(
     "far", "SELECT id AS a, id AS v, 0 AS d FROM marks UNION SELECT a, dst, d + 1 FROM far JOIN arcs ON src = v WHERE d < 16").add("tab", "SELECT a, v, min(d) AS d FROM far GROUP BY 1, 2").add(
     "est", "SELECT qid, s, t, min(x.d + y.d) AS dist FROM picked JOIN tab x ON x.v = s JOIN tab y ON y.v = t AND y.a = x.a GROUP BY 1, 2, 3")
 
@@ -464,14 +461,14 @@ def weighted_vicinities(spark, sf_dir):
     return w.index_of(spark, sf_dir, WEIGHTED).vicinity.select("u", "v", "d")
 
 
-@entry(_weighted_truth().add("pairs", "SELECT a.id * 1000003 + b.id AS qid, a.id AS s, b.id AS t FROM few a JOIN few b ON a.id < b.id").query("SELECT qid, p.s, t, d AS dist, true AS certified FROM pairs p JOIN w14 ON w14.s = p.s AND w14.v = t"))
+@entry(_weighted_truth().add("pairs", pairs_sql("few")).query("SELECT qid, p.s, t, d AS dist, true AS certified FROM pairs p JOIN w14 ON w14.s = p.s AND w14.v = t"))
 def weighted_distance_certified(spark, sf_dir):
     """Certified answers of the index, the others from the exact fallback."""
     pairs = w.sample_pairs(w.staged(few(spark, sf_dir, WEIGHTED), "few"))
     return meet.distance(w.index_of(spark, sf_dir, WEIGHTED), pairs, fallback="exact").select("qid", "s", "t", "dist", "certified")
 
 
-@entry(_weighted_truth().add("pairs", "SELECT a.id * 1000003 + b.id AS qid, a.id AS s, b.id AS t FROM few a JOIN few b ON a.id < b.id").query("SELECT qid, p.s, t, d AS dist FROM pairs p JOIN w14 ON w14.s = p.s AND w14.v = t"))
+@entry(_weighted_truth().add("pairs", pairs_sql("few")).query("SELECT qid, p.s, t, d AS dist FROM pairs p JOIN w14 ON w14.s = p.s AND w14.v = t"))
 def bidirectional_weighted(spark, sf_dir):
     pairs = w.sample_pairs(w.staged(few(spark, sf_dir, WEIGHTED), "few"))
     return baselines.bidirectional_weighted(w.graph_of(spark, sf_dir, WEIGHTED), pairs)
@@ -480,22 +477,12 @@ def bidirectional_weighted(spark, sf_dir):
 # --- measures and workloads -----------------------------------------------------------------
 
 
-@entry(oracle(MAIN, "boundary").query("""
- SELECT part, entries::BIGINT AS entries, round(entries / n, 6) AS per_node, round(entries / (n * n)::DOUBLE, 9) AS of_all_pairs FROM nm, (
-   SELECT 'vicinities' AS part, count(*) AS entries FROM vicinity UNION ALL SELECT 'boundaries', count(*) FROM boundary
-   UNION ALL SELECT 'anchor_tables', count(*) * (SELECT n FROM nm) FROM anchors UNION ALL SELECT 'all_pairs_squared', n * n FROM nm
-   UNION ALL SELECT 'all_pairs_halved', n * (n - 1) // 2 FROM nm UNION ALL SELECT 'four_root_n', floor(4 * n * sqrt(n::DOUBLE))::BIGINT FROM nm)"""))
-def memory_profile(spark, sf_dir):
-    """Vicinities and boundaries of the sample nodes alone, though against all nodes, as its oracle has it."""
-    return measures.memory_profile(w.index_of(spark, sf_dir, MAIN))
-
-
 @entry(oracle(MAIN, "radius").add("sample", "SELECT id FROM nodes").need("boundary").query("""
  SELECT part, entries::BIGINT AS entries, round(entries / n, 6) AS per_node, round(entries / (n * n)::DOUBLE, 9) AS of_all_pairs FROM nm, (
    SELECT 'vicinities' AS part, count(*) AS entries FROM vicinity UNION ALL SELECT 'boundaries', count(*) FROM boundary
    UNION ALL SELECT 'anchor_tables', count(*) * (SELECT n FROM nm) FROM anchors UNION ALL SELECT 'all_pairs_squared', n * n FROM nm
    UNION ALL SELECT 'all_pairs_halved', n * (n - 1) // 2 FROM nm UNION ALL SELECT 'four_root_n', floor(4 * n * sqrt(n::DOUBLE))::BIGINT FROM nm)"""))
-def memory_profile_all_nodes(spark, sf_dir):
+def memory_profile(spark, sf_dir):
     """The memory of the whole index: vicinities and boundaries of every node."""
     return measures.memory_profile(w.index_of(spark, sf_dir, MAIN, sampled=False))
 

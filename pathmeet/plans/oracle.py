@@ -70,7 +70,7 @@ class Oracle:
 
     def _pairs(self) -> None:
         self.need("sample")
-        self.add("pairs", "SELECT a.id * 1000003 + b.id AS qid, a.id AS s, b.id AS t FROM sample a JOIN sample b ON a.id < b.id")
+        self.add("pairs", pairs_sql("sample"))
 
     def _cases(self) -> None:
         """The answer of each pair by what the definitions say, from exact distances and radii."""
@@ -87,5 +87,11 @@ class Oracle:
         return "WITH RECURSIVE " + ",\n".join(f"{n} AS ({s})" for n, s in self.parts) + "\n" + sql
 
 
+def pairs_sql(sample: str, on: str = "a.id < b.id") -> str:
+    """Pairs of a sample, numbered by the places of their ends in it."""
+    placed = f"(SELECT id, row_number() OVER (ORDER BY id) AS k FROM {sample})"
+    return f"SELECT a.k * 1000000 + b.k AS qid, a.id AS s, b.id AS t FROM {placed} a JOIN {placed} b ON {on}"
+
+
 def oracle(graph: str, *needs: str, **options) -> Oracle:
     return Oracle(graph, **options).need(*needs)

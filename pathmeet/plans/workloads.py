@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from pathmeet.operators import baselines, meet
 from pathmeet.operators.graph import Graph, build_graph
@@ -49,8 +50,16 @@ def sample_pairs(sample: DataFrame) -> DataFrame:
     """(qid, s, t) for s < t: the sample's size is fixed, so this is a bounded product.
 
     Distances are symmetric, so ordered pairs would double the work and change no share."""
-    one, two = sample.select(F.col("id").alias("s")), F.broadcast(sample.select(F.col("id").alias("t")))
-    return one.join(two, F.col("s") < F.col("t")).select((F.col("s") * 1000003 + F.col("t")).alias("qid"), "s", "t")
+    return ordered_pairs(sample).where("s < t")
+
+
+def ordered_pairs(sample: DataFrame) -> DataFrame:
+    """(qid, s, t) for all s and t of a sample of bounded size: a stated product.
+
+    A query is numbered by the places of its ends in the sample, since ids can be too large to be combined."""
+    placed = sample.select("id", F.row_number().over(Window.orderBy("id")).cast("long").alias("k"))
+    two = F.broadcast(placed.select(F.col("id").alias("t"), F.col("k").alias("kt")))
+    return placed.select(F.col("id").alias("s"), F.col("k").alias("ks")).crossJoin(two).select((F.col("ks") * 1_000_000 + F.col("kt")).alias("qid"), "s", "t")
 
 
 def index_of(spark: SparkSession, sf_dir: str, name: str, alpha: float = 4.0, sampled: bool = True, **draw) -> Index:

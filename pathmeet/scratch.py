@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import os
 import tempfile
 import threading
 import uuid
@@ -99,6 +100,50 @@ def drop_path(spark: SparkSession, path: str) -> None:
     _written.pop(path, None)
 
 
+def _opened(spark: SparkSession, path: str):
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def read_file(spark: SparkSession, path: str) -> bytes | None:
+    """A small file, or None if there is none."""
+    target, fs = _opened(spark, path)
+    if not fs.exists(target):
+        return None
+    stream = fs.open(target)
+    try:
+        return bytes(stream.readAllBytes())
+    finally:
+        stream.close()
+
+
+def replace_file(spark: SparkSession, path: str, content: bytes) -> None:
+    """Gives a file new content in one step: written aside, then renamed over the old one."""
+    draft, fs = _opened(spark, f"{path}.{uuid.uuid4().hex}")
+    out = fs.create(draft, False)
+    out.write(content)
+    out.close()
+    target, _ = _opened(spark, path)
+    if target.toUri().getScheme() in (None, "file"):
+        os.replace(draft.toUri().getPath(), target.toUri().getPath())
+        side = os.path.join(os.path.dirname(draft.toUri().getPath()), f".{draft.getName()}.crc")
+        stale = os.path.join(os.path.dirname(target.toUri().getPath()), f".{target.getName()}.crc")
+        for checksum in (side, stale):  # checksums of the draft and of the content before
+            with contextlib.suppress(FileNotFoundError):
+                os.unlink(checksum)
+        return
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    kind = getattr(jvm.org.apache.hadoop.fs, "Options$Rename")
+    over = gateway.new_array(kind, 1)
+    over[0] = kind.OVERWRITE
+    jvm.org.apache.hadoop.fs.FileContext.getFileContext(target.toUri(), spark.sparkContext._jsc.hadoopConfiguration()).rename(draft, target, over)
+
+
+def delete_folder(spark: SparkSession, path: str) -> None:
+    target, fs = _opened(spark, path)
+    fs.delete(target, True)
+
+
 def discard(df: DataFrame) -> None:
     """Deletes the files below a ``staged`` table that nothing reads any more."""
     for path in paths_of(df):

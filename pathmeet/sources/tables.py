@@ -84,6 +84,25 @@ SPLIT_RULES: dict[str, tuple[str, str]] = {
         ON d.g = b.g""",
     ),
 }
+
+
+def _social(step: int, degree: int) -> tuple[str, str]:
+    """A power-law graph of ``2 * step`` nodes per customer and about ``degree`` links per node.
+
+    Ends are drawn by rank, with the weight of a rank falling as its power; draws are of md5, which both engines have."""
+    shape = 1 / (1 - 1 / (2.3 - 1))
+    drawn = lambda number: " , ".join(f"CAST(least(n - 1, floor(pow({number(end)} / 281474976710656.0, {shape!r}) * n)) AS BIGINT) * 16 + 14 AS {end}" for end in ("src", "dst"))
+    of_spark = drawn(lambda end: f"CAST(conv(substring(md5(concat(k, ':{end}')), 1, 12), 16, 10) AS DOUBLE)")
+    of_duck = drawn(lambda end: f"('0x' || substr(md5(k::VARCHAR || ':{end}'), 1, 12))::BIGINT::DOUBLE")
+    return (
+        f"SELECT {of_spark} FROM (SELECT c_custkey * 1000 + i AS k FROM (SELECT c_custkey, explode(sequence(1, {step * degree})) AS i FROM {{customer}})) AS e CROSS JOIN (SELECT {2 * step} * count(*) AS n FROM {{customer}}) AS c",
+        f"SELECT {of_duck} FROM (SELECT c_custkey * 1000 + unnest(range(1, {step * degree} + 1)) AS k FROM customer) e, (SELECT {2 * step} * count(*) AS n FROM customer) c",
+    )
+
+
+#: Synthetic graphs of a social shape: three sizes, two densities.
+SOCIAL = {f"g_social_{step}_{degree}": (step, degree) for step in (1, 2, 4) for degree in (8, 16)}
+SPLIT_RULES |= {name: _social(*shape) for name, shape in SOCIAL.items()}
 WEIGHTED = {"g_trade_weighted", "g_vec_knn"}
 
 KNN_SQL = """SELECT a AS src, b AS dst, 1 + d2 // 10000 AS w FROM (
@@ -120,8 +139,9 @@ def edges_sql(graph: str) -> str:
 def knn_edges(vectors: DataFrame, k: int = 6, block: int = 2048) -> DataFrame:
     """Edges to the ``k`` nearest vectors by integer squared distance; weight 1 + distance div 10000.
 
-    Blocks of all vectors meet in Arrow batches: blocks are numbered by id hash and each
-    block is sent to every block once, so no task holds all vectors."""
+    Vectors are dealt to blocks by id hash, and a task gets one pair of blocks: it looks for the neighbours of the
+    first block's vectors in the second block. So a task holds ``2 * block`` vectors however many there are, while
+    rows sent and work grow with the square of the number of blocks, as an exact search must."""
     import numpy as np
     import pyarrow as pa
     from pyspark.sql import functions as F
@@ -130,13 +150,16 @@ def knn_edges(vectors: DataFrame, k: int = 6, block: int = 2048) -> DataFrame:
     whole = vectors.select((F.col("vec_id") * 16 + 9).alias("id"), F.transform("embedding", lambda x: F.round(x.cast("double") * 1000).cast("long")).alias("v"))
     blocks = max(1, -(-vectors.count() // block))
     dealt = whole.withColumn("b", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
-    own = dealt.withColumn("to", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("at_home", F.col("to") == F.col("b"))
+    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    asking = dealt.withColumn("to", other).select("id", "v", F.col("b").alias("own"), "to", F.lit(False).alias("at_home"))
+    answering = dealt.withColumn("own", other).select("id", "v", "own", F.col("b").alias("to"), F.lit(True).alias("at_home"))
 
     def nearest(table: pa.Table) -> pa.Table:
         ids = table.column("id").to_numpy()
         v = np.array(table.column("v").to_pylist(), np.int64).reshape(len(ids), -1)
         home = table.column("at_home").to_numpy(zero_copy_only=False)
         theirs, their_ids = v[home], ids[home]
+        v, ids = v[~home], ids[~home]
         norm = (theirs * theirs).sum(1)
         out: list[tuple[np.ndarray, ...]] = []
         for at in range(0, len(ids), 512):
@@ -152,6 +175,6 @@ def knn_edges(vectors: DataFrame, k: int = 6, block: int = 2048) -> DataFrame:
         a, b, d = (np.concatenate(x) if out else np.zeros(0, np.int64) for x in (zip(*out, strict=True) if out else ((), (), ())))
         return pa.table({"a": a, "b": b, "d2": d})
 
-    near = own.groupBy("to").applyInArrow(nearest, "a long, b long, d2 long")
+    near = asking.unionByName(answering).groupBy("own", "to").applyInArrow(nearest, "a long, b long, d2 long")
     rank = F.row_number().over(Window.partitionBy("a").orderBy("d2", "b"))
     return near.withColumn("k", rank).where(F.col("k") <= k).select(F.col("a").alias("src"), F.col("b").alias("dst"), F.expr("1 + d2 div 10000").alias("w"))

@@ -210,6 +210,26 @@ def test_expected_number_of_anchors_and_invariants(spark):
     assert not measures.memory_profile(ix).isEmpty() and isinstance(ix, Index)
 
 
+def test_the_meet_reads_the_index_in_place(spark):
+    from pathmeet.joins import co_partitioned
+
+    g = graph.build_graph(synth.grid(spark, 6, 6))
+    ix = build_index(g, alpha=1.0)
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with co_partitioned(spark):
+            plan = meet.meet(ix, asked(spark, [(0, 35), (3, 30)]), "boundary", "source")._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    lines = plan.split("\n")
+    scan = next(i for i, x in enumerate(lines) if "FileScan" in x and "vicinity" in x)
+    depth = lambda x: len(x) - len(x.lstrip(" :+-*()0123456789"))
+    above = [x for i, x in enumerate(lines[:scan]) if depth(x) < depth(lines[scan]) and all(depth(y) > depth(x) for y in lines[i + 1 : scan])]
+    join = next(i for i in range(len(above) - 1, -1, -1) if "SortMergeJoin" in above[i] and "LeftOuter" in above[i])
+    assert "Bucketed: true" in lines[scan] and not any("Exchange hashpartitioning" in x for x in above[join + 1 :]), plan
+
+
 def test_the_meet_plan_has_no_cross_join_and_prunes_columns(spark):
     g = graph.build_graph(synth.grid(spark, 5, 5))
     ix = build_index(g, alpha=1.0)
