@@ -77,6 +77,15 @@ def memory_profile(index: Index, full_tables: bool = True) -> DataFrame:
     return rows.select("part", F.col("entries").cast("long"), F.round(F.col("entries") / n, 6).alias("per_node"), F.round(F.col("entries") / float(n * n), 9).alias("of_all_pairs"))
 
 
+def build_cost(g: Graph, vic: DataFrame, alpha: float) -> DataFrame:
+    """One row: arcs that the search of a vicinity reads, on average and at most, against alpha sqrt n, and its most rounds."""
+    read = vic.where("inside").join(g.nodes.select(F.col("id").alias("v"), "deg"), "v").groupBy("u").agg(F.sum("deg").alias("arcs"), (F.max("d") + 1).alias("rounds"))
+    return read.agg(
+        F.count("*").alias("nodes"), F.round(F.avg("arcs"), 6).alias("mean_arcs"), F.max("arcs").alias("most_arcs"),
+        F.round(F.avg("arcs") / (alpha * math.sqrt(g.n)), 6).alias("of_expected"), F.max("rounds").alias("rounds"),
+    )
+
+
 def explored_fraction(g: Graph, answers: DataFrame) -> DataFrame:
     """One row: the share of the nodes that a query probes, on average and at worst."""
     tried = answers.where(F.col("case").isin("meet", "unanswered"))

@@ -70,4 +70,30 @@ def social_radii(spark, sf_dir):
     return measures.radius_profile(w.index_of(spark, sf_dir, DENSE).radius)
 
 
+_BUILD = "SELECT u, sum(deg) AS arcs, max(d) + 1 AS rounds FROM vicinity JOIN nodes ON id = v WHERE inside GROUP BY u"
+
+
+@entry(oracle(DENSE, "vicinity").add("reading", _BUILD).query(
+    "SELECT count(*) AS nodes, round(avg(arcs), 6) AS mean_arcs, max(arcs)::BIGINT AS most_arcs, round(avg(arcs) / (SELECT 4.0::DOUBLE * sqrt(n::DOUBLE) FROM nm), 6) AS of_expected, max(rounds) AS rounds FROM reading"))
+def build_cost(spark, sf_dir):
+    """Work to build a vicinity of the sample's nodes that are no anchors, alpha 4."""
+    return measures.build_cost(w.graph_of(spark, sf_dir, DENSE), w.index_of(spark, sf_dir, DENSE).vicinity, 4.0)
+
+
+def _exact_sql(name: str) -> str:
+    return oracle(name, "exact", "pairs").query("SELECT qid, p.s, t, d AS dist FROM pairs p JOIN exact e ON e.s = p.s AND e.v = p.t")
+
+
+@entry(_exact_sql("g_page_link"))
+def page_distances(spark, sf_dir):
+    """Pairs of pages and their links, whose ids are hashes of 52 bits; what the index leaves open is searched."""
+    return w.answers_of(spark, sf_dir, "g_page_link", fallback="exact").where("dist is not null").select("qid", "s", "t", "dist")
+
+
+@entry(_exact_sql("g_doc_line"))
+def document_distances(spark, sf_dir):
+    """Pairs of documents and the lines that they share."""
+    return w.answers_of(spark, sf_dir, "g_doc_line", fallback="exact").where("dist is not null").select("qid", "s", "t", "dist")
+
+
 __all__ = ["QUERIES", "SQL"]
