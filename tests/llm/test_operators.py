@@ -313,7 +313,9 @@ def test_dictionaries_are_trained_on_their_own_class():
             words[at] = ["wretch", "knavery", "villain"][at % 3]
     rows = [(" ".join(words), int(bad)) for words, bad in texts]
     model = toxicity.train(rows[:450])
-    assert all(b"villain" in content for content, _ in model.toxic) and b"villain" not in model.ordinary
+    for bad in (b"wretch", b"knavery", b"villain"):  # a dictionary may hold a word without its first letter, so its effect is asked for
+        assert bad not in model.ordinary
+        assert all(saved[0] > 0 for saved in model.distances([b"bado", bad, b"gukelo"]))
     right = (model.score([t for t, _ in rows[450:]]) >= 0.3) == np.array([y for _, y in rows[450:]], bool)
     assert right.mean() > 0.95
     swapped = toxicity.train([(t, 0) for t, _ in rows[:450]])  # deleting a class deletes the score
