@@ -8,9 +8,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from pathmeet.operators.anchors import inclusion_probability
+from pathmeet.operators.anchors import draw_anchors, inclusion_probability
 from pathmeet.operators.graph import Graph
 from pathmeet.operators.index import Index
+from pathmeet.operators.radius import radii
+from pathmeet.operators.vicinity import boundaries, inner_arcs, vicinities
+from pathmeet.scratch import drop_path, made
+
+#: Rows of vicinities that may lie on disk at once where only their number is asked for.
+BLOCK_ROWS = 100_000_000
 
 
 def coverage(answers: DataFrame) -> DataFrame:
@@ -67,14 +73,37 @@ def probe_profile(answers: DataFrame) -> DataFrame:
 
 def memory_profile(index: Index, full_tables: bool = True) -> DataFrame:
     """(part, entries, per_node, of_all_pairs): entries of each part against n squared, and those of storing all pairs."""
-    n = index.graph.n
-    vic = index.vicinity.agg(F.lit("vicinities").alias("part"), F.count("*").alias("entries"))
-    bnd = index.boundary.agg(F.lit("boundaries").alias("part"), F.count("*").alias("entries"))
-    tab = index.anchors.agg(F.lit("anchor_tables").alias("part"), (F.count("*") * n).alias("entries"))
-    session = index.graph.arcs.sparkSession
-    fixed = session.createDataFrame([("all_pairs_squared", n * n), ("all_pairs_halved", n * (n - 1) // 2), ("four_root_n", int(4 * n * math.sqrt(n)))], "part string, entries long")
-    rows = vic.unionByName(bnd).unionByName(tab).unionByName(fixed)
-    return rows.select("part", F.col("entries").cast("long"), F.round(F.col("entries") / n, 6).alias("per_node"), F.round(F.col("entries") / float(n * n), 9).alias("of_all_pairs"))
+    return _profile(index.graph, index.vicinity.count(), index.boundary.count(), index.anchors.count())
+
+
+def memory_profile_by_blocks(g: Graph, alpha: float, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """``memory_profile`` of the index of every node, whose parts are never on disk at once.
+
+    Vicinities and boundaries are built for one block of nodes after the other, counted and deleted. Blocks
+    are as many as keep alpha root n rows per node below ``block_rows`` in each."""
+    anchors = draw_anchors(g, alpha)
+    radius = radii(g, anchors)
+    inner = None if g.weighted else inner_arcs(g, radius)
+    blocks = max(1, math.ceil(alpha * g.n * math.sqrt(g.n) / block_rows))
+    vic_rows = bnd_rows = 0
+    for k in range(blocks):
+        before = made()
+        vic = vicinities(g, radius, g.nodes.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == k).select("id"), inner=inner)
+        bnd = boundaries(g, vic, radius)
+        vic_rows, bnd_rows = vic_rows + vic.count(), bnd_rows + bnd.count()
+        for path in made() - before:
+            drop_path(vic.sparkSession, path)
+    return _profile(g, vic_rows, bnd_rows, anchors.count())
+
+
+def _profile(g: Graph, vic_rows: int, bnd_rows: int, anchors: int) -> DataFrame:
+    n = g.n
+    entries = {
+        "vicinities": vic_rows, "boundaries": bnd_rows, "anchor_tables": anchors * n,
+        "all_pairs_squared": n * n, "all_pairs_halved": n * (n - 1) // 2, "four_root_n": int(4 * n * math.sqrt(n)),
+    }
+    rows = g.arcs.sparkSession.createDataFrame(list(entries.items()), "part string, entries long")
+    return rows.select("part", "entries", F.round(F.col("entries") / n, 6).alias("per_node"), F.round(F.col("entries") / float(n * n), 9).alias("of_all_pairs"))
 
 
 def build_cost(g: Graph, vic: DataFrame, alpha: float) -> DataFrame:
