@@ -10,7 +10,9 @@ sample of candidates, which only sets a starting bound: every candidate is bound
 
 Queries are rows: executors draw their starting bounds and write them in blocks of bounded
 size to the shared folder. A task gathers candidates up to a bounded size and reads one block after
-the other, so neither the driver nor a task ever holds all queries or all candidates.
+the other, so neither the driver nor a task ever holds all queries or all candidates. Bounds are
+computed for tiles of pairs and rows are gathered for slices of them, so what a task holds besides
+does not depend on how many pairs the bounds leave.
 
 Defined results: vectors that are null or hold null or non-finite components take no part,
 nor do rows with a null id; any finite component does, however large, and scores are exact
@@ -42,6 +44,12 @@ LEVELS = (8, 16, 32, 48)
 SPARSE = 0.3
 #: Whole numbers below this are exact as doubles.
 EXACT = 2.0**53
+#: Pairs that are bounded at once.
+TILE = 1 << 18
+#: Components that are gathered at once, of either side of the pairs.
+VALUES = 1 << 20
+#: Bytes of candidates that a task holds.
+HELD = 1 << 26
 
 
 def usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -69,6 +77,22 @@ def statistics(v: np.ndarray, segments: int) -> np.ndarray:
     return np.stack([np.sqrt(len(p)) * f(v[:, p], axis=1) for p in parts for f in (np.mean, np.std)], axis=1)
 
 
+def dots(a: np.ndarray, i: np.ndarray, b: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Inner products of the rows a[i] and b[j], gathered in slices of bounded size."""
+    out = np.empty(len(i))
+    step = max(1, VALUES // max(1, a.shape[1]))
+    for at in range(0, len(i), step):
+        some = slice(at, at + step)
+        np.einsum("ij,ij->i", a[i[some]], b[j[some]], out=out[some])
+    return out
+
+
+def narrow(v: np.ndarray) -> np.ndarray:
+    """The same whole numbers in the smallest type that holds them."""
+    most = np.abs(v).max(initial=0) if v.dtype != object else EXACT
+    return v.astype(np.int16) if most < 1 << 15 else v.astype(np.int32) if most < 1 << 31 else v
+
+
 def best(query: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int) -> np.ndarray:
     """Indexes of the k best of each query: higher score first, then smaller id."""
     if score.dtype == object:
@@ -101,26 +125,41 @@ class Search:
             return
         if self.wide or v.dtype == object or self.most * float(np.abs(v).max(initial=1)) * max(1, v.shape[1]) >= EXACT:
             return self._add_wide(ids, v)
-        limit = self.floor - 1e-9 * (1 + self.weight) * (1 + float(np.abs(v).max(initial=1)))
-        keep = np.ones((len(self.ids), len(ids)), bool)
+        most = float(np.abs(v).max(initial=1))
+        theirs = [statistics(v, segments) for segments in LEVELS]
+        step = max(1, TILE // len(ids))
+        for at in range(0, len(self.ids), step):
+            self._add_tile(slice(at, at + step), ids, v, theirs, most)
+
+    def _add_tile(self, rows: slice, ids: np.ndarray, v: np.ndarray, theirs: list[np.ndarray], most: float) -> None:
+        floor = self.floor[rows]
+        limit = floor - 1e-9 * (1 + self.weight[rows]) * (1 + most)
+        keep = np.ones((len(floor), len(ids)), bool)
         pairs = None
-        for level, segments in enumerate(LEVELS):
-            theirs = statistics(v, segments)
+        for level, (own, other) in enumerate(zip(self.stats, theirs, strict=True)):
             if pairs is None:
                 self.shares[level] += keep.sum()
-                keep &= self.stats[level] @ theirs.T >= limit[:, None]
+                keep &= own[rows] @ other.T >= limit[:, None]
                 if keep.mean() <= SPARSE:
                     pairs = np.nonzero(keep)
             else:
                 i, j = pairs
                 self.shares[level] += len(i)
-                near = np.einsum("ij,ij->i", self.stats[level][i], theirs[j]) >= limit[i]
+                near = dots(own[rows], i, other, j) >= limit[i]
                 pairs = i[near], j[near]
-        i, j = np.nonzero(keep) if pairs is None else pairs
-        self.shares[-1] += len(i)
-        score = np.einsum("ij,ij->i", self.q[i], v[j])  # whole numbers below 2^53 are exact
-        near = score >= self.floor[i]
-        self._take(i[near], ids, j[near], score[near].astype(np.int64))
+        # scores: whole numbers below 2^53 are exact
+        if pairs is None:
+            self.shares[-1] += keep.sum()
+            dense = self.q[rows] @ v.T
+            i, j = np.nonzero(keep & (dense >= floor[:, None]))
+            score = dense[i, j]
+        else:
+            i, j = pairs
+            self.shares[-1] += len(i)
+            score = dots(self.q[rows], i, v, j)
+            near = score >= floor[i]
+            i, j, score = i[near], j[near], score[near]
+        self._take(i + rows.start, ids, j, score.astype(np.int64))
 
     def _add_wide(self, ids: np.ndarray, v: np.ndarray) -> None:
         as_integers = lambda m: m if m.dtype == object else np.array([[int(c) for c in row] for row in m.tolist()], dtype=object).reshape(m.shape)
@@ -200,14 +239,33 @@ def _matrices(batch: pa.RecordBatch, scale: int) -> Iterator[tuple[np.ndarray, n
                 yield ids[rows[some]], whole(x[some], scale)
 
 
+def gathered(batches: Iterator[pa.RecordBatch], scale: int, held_rows: int, held_bytes: int = HELD) -> Iterator[list[tuple[np.ndarray, np.ndarray]]]:
+    """Lists of (ids, whole numbers), each ended by the slice that brings it to ``held_rows`` rows or ``held_bytes``."""
+    waiting: list[tuple[np.ndarray, np.ndarray]] = []
+    count = size = 0
+    for some in batches:
+        step = max(1, VALUES * some.num_rows // max(1, len(some.column(1).flatten())))
+        for at in range(0, some.num_rows, step):
+            for ids, v in _matrices(some.slice(at, step), scale):
+                v = narrow(v)
+                waiting.append((ids, v))
+                count += len(ids)
+                size += v.nbytes if v.dtype != object else 48 * v.size
+            if count >= held_rows or size >= held_bytes:
+                yield waiting
+                waiting, count, size = [], 0, 0
+    if waiting:
+        yield waiting
+
+
 def top_k(
     spark: SparkSession, vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 5, every: int = 50,
     scale: int = 256, block: int = 4096, sample: int = 2048, batch: int = 2048, held_rows: int = 1 << 18,
 ) -> DataFrame:
     """(query_id, rank, vec_id, score) of the rows whose id is divisible by ``every``.
 
-    ``block`` bounds the queries that are read at once, ``held_rows`` the candidates that a task holds,
-    ``sample`` the candidates of the starting bound."""
+    ``block`` bounds the queries that are read at once, ``held_rows`` the candidates that a task holds
+    (``HELD`` their bytes), ``sample`` the candidates of the starting bound."""
     held = staged(usable(vectors, id_col, vector_col), "vectors")
     seeds = held.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).toArrow()
     seed_parts = [part for b in seeds.combine_chunks().to_batches() for part in _matrices(b, scale)]
@@ -272,21 +330,14 @@ def top_k(
                     running = Search(ids, q, k, np.array([floors[i] for i in ids.tolist()]))
                     for own, v in candidates:
                         if v.shape[1] == width:
-                            for at in range(0, len(own), batch):
-                                running.add(own[at : at + batch], v[at : at + batch])
+                            step = max(1, min(batch, VALUES // max(1, width)))
+                            for at in range(0, len(own), step):
+                                some = v[at : at + step]
+                                running.add(own[at : at + step], some if some.dtype == object else some.astype(np.float64))
                     yield _rows(running, kind)
 
-        waiting: list[tuple[np.ndarray, np.ndarray]] = []
-        count = 0
-        for some in batches:
-            for part in _matrices(some, scale):
-                waiting.append(part)
-                count += len(part[0])
-            if count >= held_rows:
-                yield from against(waiting)
-                waiting, count = [], 0
-        if waiting:
-            yield from against(waiting)
+        for candidates in gathered(batches, scale, held_rows):
+            yield from against(candidates)
 
     found = held.mapInArrow(search, "query_id long, vec_id long, score long, beyond binary")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.col("score").desc(), F.col("beyond").desc(), "vec_id"))
@@ -301,7 +352,10 @@ def opened(uri: str):
 def _by_width(rows: pa.RecordBatch) -> Iterator[tuple[int, pa.RecordBatch]]:
     lengths = np.diff(rows.column(1).offsets.to_numpy())
     for width in np.unique(lengths).tolist():
-        yield width, rows.take(pa.array(np.flatnonzero(lengths == width)))
+        own = np.flatnonzero(lengths == width)
+        step = max(1, VALUES // max(1, width))
+        for at in range(0, len(own), step):
+            yield width, rows.take(pa.array(own[at : at + step]))
 
 
 def op10_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
