@@ -8,15 +8,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from pathmeet.operators.anchors import draw_anchors, inclusion_probability
+from pathmeet.functions.kernels import MOST_ARCS
+from pathmeet.operators.anchors import inclusion_probability
 from pathmeet.operators.graph import Graph
-from pathmeet.operators.index import Index
-from pathmeet.operators.radius import radii
+from pathmeet.operators.index import Index, anchored
 from pathmeet.operators.vicinity import boundaries, inner_arcs, vicinities
 from pathmeet.scratch import drop_path, made
 
 #: Rows of vicinities that may lie on disk at once where only their number is asked for.
 BLOCK_ROWS = 100_000_000
+#: Places by which nodes are dealt to blocks.
+PLACES = 1 << 20
 
 
 def coverage(answers: DataFrame) -> DataFrame:
@@ -76,23 +78,28 @@ def memory_profile(index: Index, full_tables: bool = True) -> DataFrame:
     return _profile(index.graph, index.vicinity.count(), index.boundary.count(), index.anchors.count())
 
 
-def memory_profile_by_blocks(g: Graph, alpha: float, block_rows: int = BLOCK_ROWS) -> DataFrame:
+def memory_profile_by_blocks(g: Graph, alpha: float, block_rows: int = BLOCK_ROWS, most_arcs: int = MOST_ARCS) -> DataFrame:
     """``memory_profile`` of the index of every node, whose parts are never on disk at once.
 
-    Vicinities and boundaries are built for one block of nodes after the other, counted and deleted. Blocks
-    are as many as keep alpha root n rows per node below ``block_rows`` in each."""
-    anchors = draw_anchors(g, alpha)
-    radius = radii(g, anchors)
-    inner = None if g.weighted else inner_arcs(g, radius)
-    blocks = max(1, math.ceil(alpha * g.n * math.sqrt(g.n) / block_rows))
+    Vicinities and boundaries are built for one block of nodes after the other, counted and deleted. The first
+    block has as many nodes as alpha root n rows each allow; later ones follow the rows that were found. The kernel searches graphs
+    of up to ``most_arcs`` arcs, the joins larger ones."""
+    anchors, radius = anchored(g, alpha)
+    kernel = not g.weighted and 2 * g.m <= most_arcs
+    inner = None if g.weighted or kernel else inner_arcs(g, radius)
+    place = F.pmod(F.xxhash64("id"), F.lit(PLACES))
+    done, step = 0, max(1, min(PLACES, int(PLACES * block_rows / max(1.0, alpha * g.n * math.sqrt(g.n)))))
     vic_rows = bnd_rows = 0
-    for k in range(blocks):
+    while done < PLACES:
         before = made()
-        vic = vicinities(g, radius, g.nodes.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == k).select("id"), inner=inner)
+        sources = g.nodes.where((place >= done) & (place < done + step)).select("id")
+        vic = vicinities(g, radius, sources, engine="kernel" if kernel else "relational", inner=inner)
         bnd = boundaries(g, vic, radius)
         vic_rows, bnd_rows = vic_rows + vic.count(), bnd_rows + bnd.count()
         for path in made() - before:
             drop_path(vic.sparkSession, path)
+        done += step
+        step = max(1, min(PLACES - done, int(done * block_rows / max(1, vic_rows))))
     return _profile(g, vic_rows, bnd_rows, anchors.count())
 
 
