@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from pathmeet.operators.graph import Graph
 from pathmeet.operators.index import Index
-from pathmeet.operators.vicinity import anchor_tables
-from pathmeet.scratch import staged
+from pathmeet.operators.vicinity import anchor_tables, inner_arcs, vicinities
+from pathmeet.scratch import drop_path, made, paths_of, staged
 
 
 def legs(answers: DataFrame) -> DataFrame:
@@ -48,13 +48,25 @@ def unroll_parent(index: Index, parts: DataFrame, tables: DataFrame) -> DataFram
 def follow_hops(index: Index, parts: DataFrame) -> DataFrame:
     """(qid, side, at, node): the nodes of vicinity legs by stored first steps, through one node's table after another.
 
-    After a step the target is in the vicinity of the new node again, or equals it."""
-    hops = index.vicinity.select(F.col("u").alias("here"), F.col("v").alias("node"), "next_hop")
+    After a step the target is in the vicinity of the new node again, or equals it. Tables of nodes that
+    the index lacks are built when a step leads there, and deleted after it, so an index of the endpoints is enough."""
+    g, first, inner = index.graph, index.vicinity, None
     current = staged(parts.select("qid", "side", "node", F.col("owner").alias("here"), F.lit(0).cast("long").alias("at")), "hop-step")
     steps = [current]
     while True:
-        onward = current.where("here <> node").join(hops, ["here", "node"]).select("qid", "side", "node", F.col("next_hop").alias("here"), (F.col("at") + 1).alias("at"))
+        open_rows = current.where("here <> node")
+        owners = open_rows.select(F.col("here").alias("u")).distinct()
+        lacking = staged(owners.join(first.select("u"), "u", "left_anti"), "hop-owners")
+        before, held = made(), first
+        if not lacking.isEmpty():
+            inner = inner if inner is not None or g.weighted else inner_arcs(g, index.radius)
+            before = made()
+            held = first.unionByName(vicinities(g, index.radius, lacking.select(F.col("u").alias("id")), inner=inner))
+        hops = held.select(F.col("u").alias("here"), F.col("v").alias("node"), "next_hop")
+        onward = open_rows.join(hops, ["here", "node"]).select("qid", "side", "node", F.col("next_hop").alias("here"), (F.col("at") + 1).alias("at"))
         current = staged(onward, "hop-step")
+        for path in made() - before - paths_of(current):
+            drop_path(current.sparkSession, path)
         if current.isEmpty():
             break
         steps.append(current)
