@@ -31,3 +31,8 @@ def test_stats_have_components(spark):
     raw = [(1, 2), (2, 3), (3, 1), (2, 1), (9, 8), (8, 7), (20, 20), (None, 5), (11, 30)]
     row = catalog._stats_of(spark.createDataFrame(raw, "src long, dst long"), "x").first()
     assert tuple(row) == ("x", 8, 6, 7, 1.5, 2, 3)
+
+
+def test_nodes_named_by_strings(spark):
+    edges = spark.createDataFrame([("b", "a"), ("c", "b"), ("x", "y")], "src string, dst string")
+    assert dict(map(tuple, components.component_labels(edges).collect())) == {"a": "a", "b": "a", "c": "a", "x": "x", "y": "x"}
